@@ -5,12 +5,30 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from pathweave.llm import common as C
-from pathweave.llm import op3_minhash
+from pathweave.llm import op1_decontaminate, op2_pii, op3_minhash, op6_packing
 
 
 def op3_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op3_minhash.near_duplicates(C.table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op3_minhash_dedup": op3_minhash_dedup}
+def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scanned = op1_decontaminate.scan(C.table(spark, sf_dir, "documents"), C.table(spark, sf_dir, "benchmark"))
+    return op1_decontaminate.report(scanned)
+
+
+def op2_pii_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op2_pii.personal_data(C.table(spark, sf_dir, "documents"))
+
+
+def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op6_packing.pack(C.table(spark, sf_dir, "documents"))
+
+
+QUERIES = {
+    "op1_decontamination": op1_decontamination,
+    "op2_pii_spans": op2_pii_spans,
+    "op6_best_fit_packing": op6_best_fit_packing,
+    "op3_minhash_dedup": op3_minhash_dedup,
+}
 SQL: dict[str, str] = {}
