@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
-from pathweave.llm import op1_decontaminate, op2_pii, op3_minhash, op6_packing
+from pathweave.llm import op1_decontaminate, op2_pii, op3_minhash, op4_quality, op5_hosts, op6_packing, op8_language, op10_license
 
 
 def op3_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,9 +26,32 @@ def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op6_packing.pack(C.table(spark, sf_dir, "documents"))
 
 
+def op4_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op4_quality.judged(C.table(spark, sf_dir, "documents"))
+
+
+def op5_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A page's outcome is that of the label with its number: bad if of low quality or toxic."""
+    bad = ((F.col("quality") == 0) | (F.col("toxic") == 1)).cast("int")
+    labels = C.table(spark, sf_dir, "labels").select(F.col("doc_id").alias("page_id"), bad.alias("bad"))
+    return op5_hosts.filtered(C.table(spark, sf_dir, "pages"), labels)
+
+
+def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op8_language.languages(C.table(spark, sf_dir, "documents"))
+
+
+def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op10_license.scan(C.table(spark, sf_dir, "documents"))
+
+
 QUERIES = {
     "op1_decontamination": op1_decontamination,
     "op2_pii_spans": op2_pii_spans,
+    "op4_line_quality": op4_line_quality,
+    "op5_host_reputation": op5_host_reputation,
+    "op8_language_id": op8_language_id,
+    "op10_license_scan": op10_license_scan,
     "op6_best_fit_packing": op6_best_fit_packing,
     "op3_minhash_dedup": op3_minhash_dedup,
 }
