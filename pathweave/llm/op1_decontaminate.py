@@ -20,7 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
@@ -120,18 +120,40 @@ def blocks(bench: DataFrame, size: int, block_bytes: int) -> Iterator[dict[bytes
     yield held
 
 
+def sent(spark: SparkSession, bench: DataFrame, size: int, block_bytes: int) -> list:
+    """(key, broadcast) of each block; a key names the block's content."""
+    parts = []
+    for held in blocks(bench, size, block_bytes):
+        content = b"".join(sorted(held)) + repr([sorted(str(i) for i in held[p]) for p in sorted(held)]).encode()
+        parts.append((hashlib.sha256(content).hexdigest(), spark.sparkContext.broadcast(held)))
+    return parts
+
+
 def scan(docs: DataFrame, bench: DataFrame, size: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """docs(doc_id, text), bench(item_id, text) -> doc_id, n_words, runs (start and end word of each hit run), spans
     (their offsets in the original, in code points), items; one row for each row of docs."""
     docs = docs.select("doc_id", F.col("text").cast("string").alias("text"))
-    parts = []
-    for held in blocks(bench, size, block_bytes):
-        key = hashlib.sha256(b"".join(sorted(held)) + repr(sorted(map(sorted, held.values()))).encode()).hexdigest()
-        parts.append((key, docs.sparkSession.sparkContext.broadcast(held)))
+    parts = sent(docs.sparkSession, bench, size, block_bytes)
     schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_words long, runs array<long>, spans array<long>, items array<string>"
     return docs.mapInArrow(scanner(parts), schema)
 
 
+def clean(docs: DataFrame, bench: DataFrame, size: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The rows of docs, whole, that are not contaminated."""
+    parts = sent(docs.sparkSession, bench, size, block_bytes)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scanned = scanner(parts)
+        for batch in batches:
+            at = [batch.schema.get_field_index(c) for c in ("doc_id", "text")]
+            found = next(scanned(iter([pa.RecordBatch.from_arrays([batch.column(i) for i in at], ["doc_id", "text"])])))
+            hit = [sum(r[1::2]) - sum(r[::2]) for r in found.column(2).to_pylist()]
+            keep = [not (h > 0 and 20 * h >= n) for h, n in zip(hit, found.column(1).to_pylist())]
+            yield batch.filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def report(scanned: DataFrame) -> DataFrame:
     """Counts, digest and the verdict: hit words are a twentieth of all words at least."""
     hit = F.aggregate(F.sequence(F.lit(0), F.greatest(F.size("runs") - 1, F.lit(0))), F.lit(0).cast("long"), lambda s, i: s + F.coalesce(F.get("runs", i), F.lit(0)) * (2 * (i % 2) - 1))

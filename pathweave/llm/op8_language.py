@@ -167,6 +167,21 @@ def predictor(sent):
     return run
 
 
+def accepted(docs: DataFrame, model: dict | None, least_score: float) -> DataFrame:
+    """The rows of docs, whole, whose text has a language with at least that score."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        predict = predictor(sent)
+        for batch in batches:
+            at = [batch.schema.get_field_index(c) for c in ("doc_id", "text")]
+            found = next(predict(iter([pa.RecordBatch.from_arrays([batch.column(i) for i in at], ["doc_id", "text"])])))
+            keep = [lang != "und" and score >= least_score for lang, score in zip(found.column(1).to_pylist(), found.column(2).to_pylist())]
+            yield batch.filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def learnable(docs: DataFrame) -> DataFrame:
     """Rows that may be learnt from: the checksum of the id as text is not 1 modulo 3."""
     return docs.filter(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 != 1)

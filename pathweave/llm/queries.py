@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
-from pathweave.llm import op1_decontaminate, op2_pii, op3_minhash, op4_quality, op5_hosts, op6_packing, op8_language, op10_license
+from pathweave.llm import op1_decontaminate, op2_pii, op3_minhash, op4_quality, op5_hosts, op6_packing, op7_tools, op8_language, op9_substring, op10_license
 
 
 def op3_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -45,12 +45,23 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op10_license.scan(C.table(spark, sf_dir, "documents"))
 
 
+def op7_tool_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The table has no tool messages: a user's turn counts as a call, the assistant's next turn as its result."""
+    return op7_tools.linked(*op7_tools.from_dialogue(C.table(spark, sf_dir, "conversations")))
+
+
+def op9_repeated_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op9_substring.repeated_passages(C.table(spark, sf_dir, "documents"))
+
+
 QUERIES = {
     "op1_decontamination": op1_decontamination,
     "op2_pii_spans": op2_pii_spans,
     "op4_line_quality": op4_line_quality,
     "op5_host_reputation": op5_host_reputation,
     "op8_language_id": op8_language_id,
+    "op7_tool_linking": op7_tool_linking,
+    "op9_repeated_passages": op9_repeated_passages,
     "op10_license_scan": op10_license_scan,
     "op6_best_fit_packing": op6_best_fit_packing,
     "op3_minhash_dedup": op3_minhash_dedup,
