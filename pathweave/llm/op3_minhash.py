@@ -6,9 +6,10 @@ collision i of the first with collision j of the second: m * m tables. With t =
 tables, and a pair of similarity 0.85 is missed with probability 7e-5, at 0.9 with 5e-6.
 
 Texts with equal shingle sets form one class first; only a representative of each class goes on. Candidates are
-confirmed on full sets. In a table's bucket the smallest id is paired with each other member; what is then
-still in different components is paired in full (each member outside the bucket's largest component with the
-rest), so no bucket emits the square of a group and no colliding pair between components stays unchecked.
+confirmed on full sets. In a table's bucket the smallest id is paired with each other member. What is then still in
+different components is paired across components: in full in buckets of a few members; the sets of larger mixed buckets
+go through a prefix filter, which is exact: two sets as similar as asked share one of the rarest items of each. So no
+bucket emits the square of a group, and no colliding pair between components stays unchecked.
 
 Defined cases: null or empty text has the empty set, is linked with nothing and is its own component; repeated rows
 stay rows; a null doc_id is treated as an id that is linked with nothing; other columns are ignored.
@@ -20,12 +21,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
 
-K_WORDS, GROUP, FAMILY = 5, 2, 8
+K_WORDS, GROUP, FAMILY, SMALL_BUCKET = 5, 2, 8, 12
 
 
 def signer(k_words: int, group: int, family: int, seed: int = 7):
@@ -88,7 +89,48 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", both.alias("both"), (F.size("x") + F.size("y") - both).alias("either")).filter(F.col("both") * 100 >= F.col("either") * percent).select("a", "b")
 
 
-def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS, group: int = GROUP, family: int = FAMILY) -> DataFrame:
+def _mixed(placed: DataFrame, key: str) -> DataFrame:
+    """Keys whose members are in more than one component: members in all, and the component with most of them."""
+    parts = placed.groupBy(key, "comp").agg(F.count(F.lit(1)).alias("size"))
+    return parts.groupBy(key).agg(F.count(F.lit(1)).alias("parts"), F.sum("size").alias("members"), F.max(F.struct("size", "comp")).alias("top")).filter("parts > 1").select(key, "members", F.col("top.comp").alias("top"))
+
+
+def _across(rest: DataFrame, key: str, percent: int) -> DataFrame:
+    """Pairs (a, b) of one key in different components: members outside the key's largest component, with all.
+    after: how many items of the set come at the key or after it; their lesser number bounds what is shared."""
+    small = rest.filter("comp <> top").select(key, F.col("id").alias("u"), F.col("n").alias("un"), F.col("comp").alias("uc"), F.col("after").alias("ua"))
+    alike = (F.least("un", "n") * 100 >= F.greatest("un", "n") * percent) & (F.least("ua", "after") * (100 + percent) >= (F.col("un") + F.col("n")) * percent)
+    return small.join(rest, key).filter((F.col("comp") != F.col("uc")) & alike).select(F.least("u", "id").alias("a"), F.greatest("u", "id").alias("b")).distinct()
+
+
+def _rare_items(many: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The rarest items of each set, so many that two similar sets must share one of them."""
+    items = many.join(sets, "id").select("id", "n", "comp", F.explode("items").alias("item"))
+    count = items.groupBy("item").agg(F.count(F.lit(1)).alias("df"))
+    order = Window.partitionBy("id").orderBy("df", "item")
+    ranked = items.join(count, "item").withColumn("at", F.row_number().over(order))
+    # n - ceil(n * percent / 100) + 1 items.
+    return ranked.filter("df > 1").filter(F.col("at") <= F.col("n") - F.ceil(F.col("n") * percent / F.lit(100)) + 1).select("item", "id", "n", "comp", (F.col("n") - F.col("at") + 1).alias("after"))
+
+
+def linked(busy: DataFrame, sets: DataFrame, percent: int, small_bucket: int = SMALL_BUCKET, name: str = "near") -> DataFrame:
+    """busy(bucket, id, n, pivot), sets(id, items) -> (id, comp) of all ids that have a link."""
+    stars = busy.filter("id <> pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
+    links = C.settle(_confirmed(stars, sets, percent), f"{name}-links")
+    comp = C.components(links, f"{name}-one")
+    placed = busy.join(comp, "id", "left").select("bucket", "id", "n", F.coalesce("comp", "id").alias("comp"), F.col("n").alias("after"))
+    mixed = _mixed(placed, "bucket")
+    rest = C.settle(placed.join(mixed, "bucket"), f"{name}-rest")
+    few = _across(rest.filter(F.col("members") <= small_bucket), "bucket", percent)
+    many = rest.filter(F.col("members") > small_bucket).select("id", "n", "comp").distinct()
+    rare = C.settle(_rare_items(many, sets, percent), f"{name}-rare")
+    cross = few.union(_across(rare.join(_mixed(rare, "item"), "item"), "item", percent)).distinct().join(stars, ["a", "b"], "left_anti")
+    more = _confirmed(cross, sets, percent)
+    links = C.settle(links.union(more), f"{name}-all-links")
+    return C.components(links, f"{name}-two")
+
+
+def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS, group: int = GROUP, family: int = FAMILY, small_bucket: int = SMALL_BUCKET) -> DataFrame:
     """docs(doc_id long, text) -> doc_id, n_shingles, component_id, kept; one row for each row of docs."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, n_shingles long, set_1 long, set_2 long, parts array<long>"
@@ -102,24 +144,11 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS,
     rows = classes.select("id", F.col("n_shingles").alias("n"), F.explode(tables).alias("bucket"))
     busy = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min("id").alias("pivot")).filter("members > 1")
     busy = C.settle(rows.join(busy, "bucket").select("bucket", "id", "n", "pivot"), "near-buckets")
-    alike = lambda m, n: F.least(m, n) * 100 >= F.greatest(m, n) * percent
 
     texts = docs.join(busy.select(F.col("id").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     sets = C.settle(texts.mapInArrow(setter(k_words), "id long, items array<long>"), "near-sets")
 
-    stars = busy.filter("id <> pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
-    links = C.settle(_confirmed(stars, sets, percent), "near-links")
-    comp = C.components(links, "near-one")
-    placed = busy.join(comp, "id", "left").select("bucket", "id", "n", F.coalesce("comp", "id").alias("comp"))
-    parts = placed.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("size"))
-    mixed = parts.groupBy("bucket").agg(F.count(F.lit(1)).alias("parts"), F.max(F.struct("size", "comp")).alias("top")).filter("parts > 1").select("bucket", F.col("top.comp").alias("top"))
-    rest = C.settle(placed.join(mixed, "bucket"), "near-rest")
-    small = rest.filter("comp <> top").select("bucket", F.col("id").alias("u"), F.col("n").alias("un"), F.col("comp").alias("uc"))
-    cross = small.join(rest, "bucket").filter((F.col("comp") != F.col("uc")) & alike(F.col("un"), F.col("n")))
-    cross = cross.select(F.least("u", "id").alias("a"), F.greatest("u", "id").alias("b")).distinct().join(stars, ["a", "b"], "left_anti")
-    more = _confirmed(cross, sets, percent)
-    links = C.settle(links.union(more), "near-all-links")
-    comp = C.components(links, "near-two")
+    comp = linked(busy, sets, percent, small_bucket)
 
     of_class = classes.select(*key, "id").join(comp, "id", "left").select(*key, F.coalesce("comp", "id").alias("component"))
     on = [F.col(f"s.{c}") == F.col(f"c.{c}") for c in key]
@@ -127,3 +156,12 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS,
     # A row with words but without an id has a class's component only if that class has rows with ids.
     comp_id = F.when(F.col("s.doc_id").isNull(), F.lit(None).cast("long")).otherwise(F.coalesce("c.component", "s.doc_id"))
     return out.select("s.doc_id", F.col("s.n_shingles").alias("n_shingles"), comp_id.alias("component_id"), F.coalesce(F.col("s.doc_id") == comp_id, F.lit(True)).alias("kept"))
+
+
+def survivors(docs: DataFrame, percent: int = 85) -> DataFrame:
+    """The rows of docs, whole, that stay: one document of each group. Of rows that share a doc_id one stays; rows
+    without an id all stay."""
+    kept = near_duplicates(docs, percent).filter("kept and doc_id is not null").select("doc_id").distinct()
+    lone = docs.filter("doc_id is null")
+    with_id = docs.filter("doc_id is not null").join(kept, "doc_id", "left_semi").select(*docs.columns)
+    return with_id.unionByName(lone)
