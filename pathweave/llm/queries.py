@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
+from pathweave.llm import oracles
 from pathweave.llm import op1_decontaminate, op2_pii, op3_minhash, op4_quality, op5_hosts, op6_packing, op7_tools, op8_language, op9_substring, op10_license
 
 
@@ -15,7 +16,7 @@ def op3_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     scanned = op1_decontaminate.scan(C.table(spark, sf_dir, "documents"), C.table(spark, sf_dir, "benchmark"))
-    return op1_decontaminate.report(scanned)
+    return op1_decontaminate.report(scanned).drop("spans")
 
 
 def op2_pii_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -66,4 +67,5 @@ QUERIES = {
     "op6_best_fit_packing": op6_best_fit_packing,
     "op3_minhash_dedup": op3_minhash_dedup,
 }
-SQL: dict[str, str] = {}
+#: Queries without SQL rest on trained models, packing, votes or components over hashes; they are tested against brute force.
+SQL: dict[str, str] = oracles.SQL
