@@ -51,7 +51,7 @@ def parse_mode(text: str, k: int | None = None) -> PathMode:
     selector = " ".join(words[:-1]) or "ALL"
     if " K" in f" {selector}" and number is None:
         raise PathModeError(f"{text}: k is missing")
-    return PathMode(selector, words[-1], number or 1)
+    return PathMode(selector, words[-1], 1 if number is None else number)
 
 
 ALL_MODES = tuple(PathMode(s, r, 2) for r in RESTRICTORS for s in SELECTORS if (s, r) != ("ALL", "WALK"))
