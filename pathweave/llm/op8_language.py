@@ -2,7 +2,7 @@
 
 Features are 1- to 3-grams of letters (anything else is one blank), hashed into BUCKETS. Document frequencies come from
 all documents that may be learnt from; the classifier is fitted with follow-the-regularised-leader and elastic-net
-penalties on a bounded sample of them (SAMPLE_DOCS, those of smallest hash), and its temperature is calibrated on a part of
+penalties on a bounded sample of them (about SAMPLE_DOCS, picked by hash, never twice as many), and its temperature is calibrated on a part of
 the sample that the fit did not see. Prediction reads whole texts.
 
 Defined cases: null text, or text without a letter, is "und" with score 0; a null language is never learnt from; with
@@ -18,9 +18,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-BUCKETS, ORDERS, SAMPLE_DOCS, EPOCHS = 1 << 13, (1, 2, 3), 4000, 3
+BUCKETS, ORDERS, SAMPLE_DOCS, EPOCHS = 1 << 13, (1, 2, 3), 2500, 3
 ALPHA, BETA, L1, L2 = 0.5, 1.0, 0.02, 0.1
-_ROWS, _CHARS = 256, 1 << 20
+_ROWS, _CHARS = 128, 1 << 19
 _LETTER: np.ndarray | None = None
 
 
@@ -56,18 +56,24 @@ def counts(texts: list[str]) -> np.ndarray:
     return out.reshape(len(texts), BUCKETS)
 
 
-def groups(texts: list[str | None]) -> Iterator[tuple[int, list[str]]]:
+def groups(texts: list[str | None], most: int = _ROWS) -> Iterator[tuple[int, list[str]]]:
     """Runs of texts of bounded number and size, and where they begin."""
     i = 0
     while i < len(texts):
         j, size = i, 0
-        while j < len(texts) and j - i < _ROWS and (j == i or size + len(texts[j] or "") <= _CHARS):
+        while j < len(texts) and j - i < most and (j == i or size + len(texts[j] or "") <= _CHARS):
             size += len(texts[j] or "")
             j += 1
         yield i, [t or "" for t in texts[i:j]]
         i = j
 
 
+def parts_of(col: pa.Array, rows: int = 512) -> Iterator[list]:
+    """A column's texts a few at a time, so that a batch is never held twice."""
+    for i in range(0, len(col), rows):
+        yield col.slice(i, rows).to_pylist()
+
+
 def weighed(c: np.ndarray, idf: np.ndarray) -> np.ndarray:
     """TF-IDF rows of unit length (zero rows stay zero)."""
     v = np.log1p(c).astype(np.float32) * idf
@@ -78,10 +84,10 @@ def frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Documents of a partition that hold each bucket; bucket BUCKETS counts the documents."""
     df = np.zeros(BUCKETS + 1, np.int64)
     for batch in batches:
-        texts = batch.column(0).to_pylist()
-        for _, part in groups(texts):
-            df[:BUCKETS] += (counts(part) > 0).sum(0)
-        df[BUCKETS] += len(texts)
+        for texts in parts_of(batch.column(0)):
+            for _, part in groups(texts):
+                df[:BUCKETS] += (counts(part) > 0).sum(0)
+        df[BUCKETS] += batch.num_rows
     if df[BUCKETS]:
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(BUCKETS + 1), pa.int32()), pa.array(df)], ["bucket", "df"])
 
@@ -91,18 +97,18 @@ def _softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(axis=-1, keepdims=True)
 
 
-def fit(x: np.ndarray, y: np.ndarray, classes: int, epochs: int = EPOCHS, seed: int = 13) -> np.ndarray:
-    """Follow-the-regularised-leader, coordinate by coordinate; weights are zero where the L1 penalty holds them."""
-    z, n = np.zeros((classes, x.shape[1])), np.zeros((classes, x.shape[1]))
+def fit(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, classes: int, epochs: int = EPOCHS, seed: int = 13) -> np.ndarray:
+    """Follow-the-regularised-leader, coordinate by coordinate, over rows of (bucket, value); weights are zero where the L1
+    penalty holds them."""
+    z, n = np.zeros((classes, BUCKETS)), np.zeros((classes, BUCKETS))
     rnd = np.random.default_rng(seed)
-    sparse = [(i := np.flatnonzero(r), r[i].astype(np.float64)) for r in x]
 
     def weights(z, n):
         return np.where(np.abs(z) <= L1, 0.0, -(z - np.sign(z) * L1) / ((BETA + np.sqrt(n)) / ALPHA + L2))
 
     for _ in range(epochs):
         for k in rnd.permutation(len(y)):
-            i, v = sparse[k]
+            i, v = rows[k]
             zi, ni = z[:, i], n[:, i]
             w = weights(zi, ni)
             p = _softmax(w @ v)
@@ -133,15 +139,25 @@ def train(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> dict | None:
     if not df[BUCKETS]:
         return None
     idf = (np.log((1 + df[BUCKETS]) / (1 + df[:BUCKETS])) + 1).astype(np.float32)
-    some = docs.select("text", "lang", F.xxhash64(F.lit("language"), "doc_id", "text").alias("h")).orderBy("h", "lang").limit(sample_docs).collect()
+    # Rows whose hash falls below a share of its range: about sample_docs of them, never more than twice as many.
+    share = min(1.0, sample_docs / int(df[BUCKETS]))
+    place = F.shiftrightunsigned(F.xxhash64(F.lit("language"), "doc_id", "text"), 11)  # 53 bits
+    some = docs.filter(place < int(share * 2**53) + (share == 1.0)).select("text", "lang").limit(2 * sample_docs).collect()
+    some.sort(key=lambda r: (r["lang"], r["text"]))
+    if not some:
+        return None
     classes = sorted({r["lang"] for r in some})
-    x = np.concatenate([weighed(counts(part), idf) for _, part in groups([r["text"] for r in some])])
+    rows = []  # (bucket, value) of each text: a few thousand pairs, not a dense row
+    for _, part in groups([r["text"] for r in some], 32):
+        for v in weighed(counts(part), idf):
+            at = np.flatnonzero(v)
+            rows.append((at, v[at]))
     y = np.array([classes.index(r["lang"]) for r in some])
-    held = np.arange(len(y)) % 5 == 4
+    held = np.random.default_rng(7).permutation(len(y)) % 5 == 4
     if held.sum() < 20:
         held[:] = False
-    w = fit(x[~held], y[~held], len(classes))
-    logits = x[held] @ w.T
+    w = fit([r for r, h in zip(rows, held) if not h], y[~held], len(classes))
+    logits = np.array([w[:, i] @ v for (i, v), h in zip(rows, held) if h]).reshape(-1, len(classes))
     return {"classes": classes, "weights": w, "idf": idf, "temperature": temperature(logits, y[held]) if held.any() else 1.0}
 
 
@@ -152,7 +168,7 @@ def predictor(sent):
         m = sent.value
         for batch in batches:
             lang, score = [], []
-            for _, part in groups(batch.column(1).to_pylist()):
+            for part in (p for texts in parts_of(batch.column(1)) for _, p in groups(texts)):
                 if m is None:
                     lang += ["und"] * len(part)
                     score += [0.0] * len(part)
