@@ -1,7 +1,7 @@
 """Personal data: fixed patterns plus a character-level bidirectional LSTM with CRF transitions.
 
 The network is written and trained in numpy from labelled spans: those that the fixed patterns find in a bounded sample
-of documents (SAMPLE_DOCS), each also in altered forms that the patterns do not know (a phone number without "+",
+of documents (SAMPLE_DOCS, of SAMPLE_CHARS at most), each also in altered forms that the patterns do not know (a phone number without "+",
 other separators, a card number in odd groups). Inference decodes overlapping windows of each text with the Viterbi
 path; a window's labels count where it is the one whose middle is nearest, so each character is labelled once, and
 spans are read from the joined labels. Spans of the patterns always stay; a span of the network is added if it does not
@@ -29,7 +29,7 @@ from pathweave.llm import common as C
 
 KINDS = ("email", "ip", "card", "phone")
 WINDOW, STRIDE, HIDDEN, EMBED = 96, 48, 20, 12
-SAMPLE_DOCS, SAMPLE_WINDOWS, EPOCHS, SURE = 400, 1500, 10, 0.9
+SAMPLE_DOCS, SAMPLE_CHARS, SAMPLE_WINDOWS, EPOCHS, SURE = 400, 20_000, 1500, 10, 0.9
 TAGS = 1 + 2 * len(KINDS)  # outside, then begin and inside of each kind
 
 # ------------------------------------------------------------------ fixed patterns
@@ -416,7 +416,12 @@ def finder(model):
 def train(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> dict | None:
     """Parameters of the network, from the fixed patterns' spans in at most sample_docs documents."""
     holds = F.col("text").rlike(r"@[A-Za-z0-9-]+\.[A-Za-z0-9]|\+[0-9][ ().0-9-]{6}|[0-9][0-9 -]{14}|[0-9]\.[0-9]+\.[0-9]+\.[0-9]")
-    some = docs.filter(holds).select(F.substring("text", 1, 20000).alias("text"), F.xxhash64("text").alias("h")).orderBy("h", "text").limit(sample_docs).collect()
+    some = docs.filter(holds & (F.length("text") <= SAMPLE_CHARS)).select("text", F.xxhash64("text").alias("h"))
+    # Numbers first, then the few texts below the last of them: no task sends texts that are not taken.
+    least = [r["h"] for r in some.select("h").orderBy("h").limit(sample_docs).collect()]
+    if not least:
+        return None
+    some = some.filter(F.col("h") <= max(least)).dropDuplicates(["h"]).orderBy("h").collect()
     windows = training_windows([r["text"] for r in some])
     return Tagger().fit(windows).p if windows else None
 
