@@ -6,7 +6,7 @@ collision i of the first with collision j of the second: m * m tables. With t =
 tables, and a pair of similarity 0.85 is missed with probability 7e-5, at 0.9 with 5e-6.
 
 Texts with equal shingle sets form one class first; only a representative of each class goes on. Candidates are
-confirmed on full sets. In a table's bucket the smallest id is paired with each other member. What is then still in
+confirmed on full sets. In a table's bucket the smallest set is paired with each other member. What is then still in
 different components is paired across components: in full in buckets of a few members; the sets of larger mixed buckets
 go through a prefix filter, which is exact: two sets as similar as asked share one of the rarest items of each. So no
 bucket emits the square of a group, and no colliding pair between components stays unchecked.
@@ -21,12 +21,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
 
-K_WORDS, GROUP, FAMILY, SMALL_BUCKET = 5, 2, 8, 12
+K_WORDS, GROUP, FAMILY, SMALL_BUCKET, PIVOT_ROUNDS, PIVOTS = 5, 2, 8, 12, 2, 6
 
 
 def signer(k_words: int, group: int, family: int, seed: int = 7):
@@ -99,8 +99,20 @@ def _across(rest: DataFrame, key: str, percent: int) -> DataFrame:
     """Pairs (a, b) of one key in different components: members outside the key's largest component, with all.
     after: how many items of the set come at the key or after it; their lesser number bounds what is shared."""
     small = rest.filter("comp <> top").select(key, F.col("id").alias("u"), F.col("n").alias("un"), F.col("comp").alias("uc"), F.col("after").alias("ua"))
-    alike = (F.least("un", "n") * 100 >= F.greatest("un", "n") * percent) & (F.least("ua", "after") * (100 + percent) >= (F.col("un") + F.col("n")) * percent)
-    return small.join(rest, key).filter((F.col("comp") != F.col("uc")) & alike).select(F.least("u", "id").alias("a"), F.greatest("u", "id").alias("b")).distinct()
+    return small.join(rest, key).filter((F.col("comp") != F.col("uc")) & _alike(percent)).select(F.least("u", "id").alias("a"), F.greatest("u", "id").alias("b")).distinct()
+
+
+def _alike(percent: int) -> Column:
+    """Whether the sizes of two sets, and what is left of them from a shared item on, allow the similarity."""
+    return (F.least("un", "n") * 100 >= F.greatest("un", "n") * percent) & (F.least("ua", "after") * (100 + percent) >= (F.col("un") + F.col("n")) * percent)
+
+
+def _pivots(rare: DataFrame, turn: int, percent: int) -> DataFrame:
+    """Pairs (a, b) of a few members of each item, drawn by hash, with those of other components."""
+    drawn = [F.min_by(F.struct("id", "n", "comp", "after"), F.struct(F.xxhash64("id", "item", F.lit(turn * PIVOTS + i)), "id")) for i in range(PIVOTS)]
+    few = rare.groupBy("item").agg(F.array_distinct(F.array(*drawn)).alias("p")).select("item", F.explode("p").alias("p"))
+    few = few.select("item", F.col("p.id").alias("u"), F.col("p.n").alias("un"), F.col("p.comp").alias("uc"), F.col("p.after").alias("ua"))
+    return rare.join(few, "item").filter((F.col("comp") != F.col("uc")) & _alike(percent)).select(F.least("u", "id").alias("a"), F.greatest("u", "id").alias("b")).distinct()
 
 
 def _rare_items(many: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -115,7 +127,7 @@ def _rare_items(many: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def linked(busy: DataFrame, sets: DataFrame, percent: int, small_bucket: int = SMALL_BUCKET, name: str = "near") -> DataFrame:
     """busy(bucket, id, n, pivot), sets(id, items) -> (id, comp) of all ids that have a link."""
-    stars = busy.filter("id <> pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
+    stars = busy.filter("id <> pivot").select(F.least("pivot", "id").alias("a"), F.greatest("pivot", "id").alias("b")).distinct()
     links = C.settle(_confirmed(stars, sets, percent), f"{name}-links")
     comp = C.components(links, f"{name}-one")
     placed = busy.join(comp, "id", "left").select("bucket", "id", "n", F.coalesce("comp", "id").alias("comp"), F.col("n").alias("after"))
@@ -124,6 +136,16 @@ def linked(busy: DataFrame, sets: DataFrame, percent: int, small_bucket: int = S
     few = _across(rest.filter(F.col("members") <= small_bucket), "bucket", percent)
     many = rest.filter(F.col("members") > small_bucket).select("id", "n", "comp").distinct()
     rare = C.settle(_rare_items(many, sets, percent), f"{name}-rare")
+    # Before rare items are paired in full, a few members of each, drawn anew each turn, are paired with the others: components
+    # meet here with pairs in the number of members. Turns end when they find little more; what is left is paired in full.
+    ids = rare.select("id").distinct().count()
+    for turn in range(PIVOT_ROUNDS if ids else 0):
+        met = C.settle(_confirmed(_pivots(rare, turn, percent), sets, percent), f"{name}-met")
+        links = C.settle(links.union(met), f"{name}-links")
+        if met.count() * 50 < ids:
+            break
+        comp = C.components(links, f"{name}-met")
+        rare = C.settle(rare.drop("comp").join(comp, "id", "left").select("item", "id", "n", F.coalesce("comp", "id").alias("comp"), "after"), f"{name}-rare")
     cross = few.union(_across(rare.join(_mixed(rare, "item"), "item"), "item", percent)).distinct().join(stars, ["a", "b"], "left_anti")
     more = _confirmed(cross, sets, percent)
     links = C.settle(links.union(more), f"{name}-all-links")
@@ -142,7 +164,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS,
     first, second = F.slice("parts", 1, family), F.slice("parts", family + 1, family)
     tables = F.flatten(F.transform(first, lambda x: F.transform(second, lambda y: F.xxhash64(x, y))))
     rows = classes.select("id", F.col("n_shingles").alias("n"), F.explode(tables).alias("bucket"))
-    busy = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min("id").alias("pivot")).filter("members > 1")
+    busy = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min_by("id", F.struct("n", "id")).alias("pivot")).filter("members > 1")
     busy = C.settle(rows.join(busy, "bucket").select("bucket", "id", "n", "pivot"), "near-buckets")
 
     texts = docs.join(busy.select(F.col("id").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])

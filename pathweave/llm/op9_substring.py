@@ -75,7 +75,7 @@ def cutter():
                 base = chars[(off[i : j] - w.lo)][w.row]
                 c0, c1 = chars[w.start] - base, chars[w.end] - base
                 # Lines.
-                line = np.cumsum(w.data == 10)[w.start] + w.row * 0
+                line = np.cumsum(w.data == 10)[w.start]
                 new = np.concatenate([[True], (line[1:] != line[:-1]) | (w.row[1:] != w.row[:-1])])
                 s = np.flatnonzero(new)
                 e = np.append(s[1:], len(w.start))
@@ -141,7 +141,7 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     place = F.min(F.struct("doc_id", "w0", "w1"))
     classes = C.settle(lines.groupBy(F.col("print").alias("id")).agg(place.alias("at"), F.first("n").alias("n"), F.first("bands").alias("bands")), "passage-classes")
     rows = classes.select("id", "n", F.posexplode("bands").alias("band", "bucket"))
-    often = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min("id").alias("pivot")).filter("members > 1")
+    often = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min_by("id", F.struct("n", "id")).alias("pivot")).filter("members > 1")
     busy = C.settle(rows.join(often, "bucket").select("bucket", "id", "n", "pivot"), "passage-buckets")
     wanted = classes.join(busy.select("id").distinct(), "id", "left_semi").select("id", F.col("at.doc_id").alias("doc_id"), F.col("at.w0").alias("w0"), F.col("at.w1").alias("w1"))
     sets = wanted.join(docs, "doc_id").select("id", "w0", "w1", "text").mapInArrow(setter(), "id long, items array<long>")
