@@ -45,7 +45,7 @@ _OTHER[[9, 10, 13, 0xC2, 0xC3]] = _OTHER[32:127] = _OTHER[128:192] = False
 _OTHER[ord("<")] = True
 _SIGNS = np.zeros(256, bool)  # what may follow 0xC2
 _SIGNS[[*range(0xA1, 0xA8), 0xA9, 0xAB, 0xAC, 0xAE, 0xB0, 0xB1, 0xB6, 0xB7, 0xBB, 0xBF]] = True
-CACHED_WORDS = 1_000_000
+CACHED_WORDS = 300_000
 
 
 def _byte_letters() -> list[str]:
