@@ -23,6 +23,8 @@ from pathweave.llm import common as C
 
 #: Required arguments of each tool and their types; a stated parameter.
 SCHEMAS = {"reply": {"text": "string", "words": "integer"}}
+#: Chains of up to 2**24 calls; pointers that have not ended then go round a cycle.
+DOUBLINGS = 24
 _TYPES = {"string": "STRING", "integer": "BIGINT", "number": "DECIMAL|DOUBLE|FLOAT|BIGINT", "boolean": "BOOLEAN", "object": "OBJECT", "array": "ARRAY"}
 
 
@@ -44,16 +46,17 @@ def valid(name: Column, arguments: Column, schemas=SCHEMAS) -> Column:
     return ok
 
 
-def levels(calls: DataFrame, max_rounds: int = 1000) -> DataFrame:
+def levels(calls: DataFrame) -> DataFrame:
     """calls(id, refs array<string>) -> id, level: 0 without known references, else one above the highest."""
     nodes = calls.filter("id is not null").groupBy("id").agg(F.flatten(F.collect_list("refs")).alias("refs"))
     nodes = C.settle(nodes, "tools-nodes")
-    edges = nodes.select("id", F.explode(F.array_distinct("refs")).alias("ref")).join(nodes.select(F.col("id").alias("ref")), "ref", "left_semi").filter("id <> ref or id = ref")
+    edges = nodes.select("id", F.explode(F.array_distinct("refs")).alias("ref")).join(nodes.select(F.col("id").alias("ref")), "ref", "left_semi")
     edges = C.settle(edges, "tools-edges")
+    if edges.groupBy("id").count().filter("count > 1").limit(1).count() == 0:
+        return _chain_levels(nodes, edges)
     level = nodes.join(edges.select("id").distinct(), "id", "left_anti").select("id", F.lit(0).cast("long").alias("level"))
-    done, frontier = level, level
-    left = edges
-    for _ in range(max_rounds):
+    done, left = level, edges
+    while True:
         # Calls all of whose references have a level.
         known = C.settle(left.join(done.withColumnRenamed("id", "ref"), "ref", "left"), "tools-known")
         ready = known.groupBy("id").agg(F.max("level").alias("top"), F.count(F.lit(1)).alias("n"), F.count("level").alias("have")).filter("n = have").select("id", (F.col("top") + 1).alias("level"))
@@ -65,6 +68,19 @@ def levels(calls: DataFrame, max_rounds: int = 1000) -> DataFrame:
     return done
 
 
+def _chain_levels(nodes: DataFrame, edges: DataFrame) -> DataFrame:
+    """Levels where each call refers to one other at most: distances to the chain's first call by pointer doubling, in a number
+    of rounds that is the logarithm of the longest chain. Calls that still point somewhere after DOUBLINGS rounds are in or behind a cycle."""
+    at = nodes.select("id").join(edges, "id", "left").select("id", F.col("ref").alias("up"), F.when(F.col("ref").isNull(), 0).otherwise(1).cast("long").alias("level"))
+    at = C.settle(at, "tools-chain")
+    rounds = 0
+    while rounds < DOUBLINGS and at.filter("up is not null").limit(1).count():
+        far = at.select(F.col("id").alias("up"), F.col("up").alias("next"), F.col("level").alias("more"))
+        at = C.settle(at.join(far, "up", "left").select("id", F.col("next").alias("up"), (F.col("level") + F.coalesce("more", F.lit(0))).alias("level")), "tools-chain")
+        rounds += 1
+    return at.filter("up is null").select("id", "level")
+
+
 def linked(calls: DataFrame, results: DataFrame, schemas=SCHEMAS) -> DataFrame:
     """calls(id, conv_id, turn, name, arguments, refs), results(id, conv_id, turn, content) -> a row for each pair, each call
     without a result and each result without a call: conv_id, call_id, turn, result_turn, name, level, valid, linked, json."""
