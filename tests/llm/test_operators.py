@@ -385,3 +385,8 @@ def test_licence_votes_survive_edits(spark):
     d = spark.createDataFrame([(1, "before it " + " ".join(w) + " and after"), (2, "redistribution and use in source")], "doc_id long, text string")
     got = {r["doc_id"]: r for r in op10_license.scan(d).collect()}
     assert got[1]["labels"] == "bsd" and 0.6 <= got[1]["score"] < 1 and got[2]["labels"] == ""
+
+
+def test_levels_of_calls_with_several_references(spark):
+    calls = spark.createDataFrame([("x", []), ("y", ["x"]), ("z", ["x", "y"]), ("w", ["z", "x"]), ("v", ["v", "x"])], "id string, refs array<string>")
+    assert {r["id"]: r["level"] for r in op7_tools.levels(calls).collect()} == {"x": 0, "y": 1, "z": 2, "w": 3}
