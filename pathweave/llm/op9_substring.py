@@ -8,8 +8,9 @@ wherever it stands.
 Lines are banded on the MinHash of their five-word shingles (bands of two, tuned for recall: a pair of similarity 0.8
 is missed with probability 3e-4), colliding ones are confirmed by exact Jaccard on full sets and clustered by components.
 Windows are short and must be equal: their cluster is that of equal content. A cluster in two documents or more is a
-repeat; its occurrence with the smallest (document, start) is kept, the others are removed. Overlapping pieces of a
-document are merged into passages.
+repeat; its occurrence with the smallest (document, start) is kept, the others are removed. A word that stands in a
+removed piece goes, whatever else holds it; pieces are cut at each other's borders and merged into passages of one verdict
+and one first document (the smallest of the pieces that gave the verdict).
 
 Defined cases: null and empty texts have no paragraphs; repeated rows (and documents with the same id) are one document,
 so they do not repeat each other; a null doc_id takes no part; a paragraph of fewer words takes no part.
@@ -21,7 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
@@ -29,6 +30,7 @@ from pathweave.llm import op3_minhash
 
 MIN_WORDS, WINDOW, NEAR, GRAM = 28, 28, 20, 3
 SHINGLE, BAND, BANDS, PERCENT = 5, 2, 8, 80
+PLACE = ["w0", "w1", "c0", "c1", "before", "after"]
 _P = np.uint64(0xD6E8FEB86659FD93)
 _INV = np.uint64(pow(0xD6E8FEB86659FD93, -1, 1 << 64))
 
@@ -74,6 +76,8 @@ def cutter():
                 chars = np.concatenate([[0], np.cumsum((w.data & 0xC0) != 0x80)])
                 base = chars[(off[i : j] - w.lo)][w.row]
                 c0, c1 = chars[w.start] - base, chars[w.end] - base
+                # Where the word before ends and the next one starts, for pieces that are cut at a border.
+                before, after = np.append(0, c1[:-1]), np.append(c0[1:], 0)
                 # Lines.
                 line = np.cumsum(w.data == 10)[w.start]
                 new = np.concatenate([[True], (line[1:] != line[:-1]) | (w.row[1:] != w.row[:-1])])
@@ -108,8 +112,8 @@ def cutter():
                 for is_line, s, e, distinct, bands in parts:
                     at = pa.array(i + w.row[s])
                     yield pa.RecordBatch.from_arrays(
-                        [batch.column(0).take(at), ids.take(at), pa.array(is_line), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(c0[s]), pa.array(c1[e - 1]), pa.array(distinct), bands],
-                        ["row", "doc_id", "line", "print", "w0", "w1", "c0", "c1", "n", "bands"],
+                        [batch.column(0).take(at), ids.take(at), pa.array(is_line), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(c0[s]), pa.array(c1[e - 1]), pa.array(before[s]), pa.array(after[e - 1]), pa.array(distinct), bands],
+                        ["row", "doc_id", "line", "print", "w0", "w1", "c0", "c1", "before", "after", "n", "bands"],
                     )
 
     return run
@@ -131,11 +135,61 @@ def setter():
     return run
 
 
+def _passages(t: dict[str, np.ndarray]) -> list[tuple]:
+    """The passages of one row from its pieces: each word has the verdict of the last piece painted over it."""
+    order = np.lexsort((-t["first_doc"], t["gone"]))
+    low = int(t["w0"].min())
+    over = np.full(int(t["w1"].max()) - low, -1, np.int64)
+    kind, kinds = {}, []
+    start, end = {}, {}
+    for k in order.tolist():
+        w0, w1 = int(t["w0"][k]), int(t["w1"][k])
+        what = (int(t["first_doc"][k]), bool(t["gone"][k]))
+        if what not in kind:
+            kind[what] = len(kinds)
+            kinds.append(what)
+        over[w0 - low : w1 - low] = kind[what]
+        # Characters at which word w0 and w1 start, and at which the words before them end.
+        start[w0], end[w1] = t["c0"][k], t["c1"][k]
+        start.setdefault(w1, t["after"][k]), end.setdefault(w0, t["before"][k])
+    edge = np.flatnonzero(np.diff(over)) + 1
+    out = []
+    for a, b in zip([0, *edge.tolist()], [*edge.tolist(), len(over)]):
+        if over[a] >= 0:
+            out.append((int(t["doc_id"][0]), int(start[a + low]), int(end[b + low]), b - a, *kinds[over[a]]))
+    return out
+
+
+def painter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pieces sorted by row -> passages. A row's pieces may be spread over batches."""
+    names = ["doc_id", "start", "end", "n_words", "first_doc", "removed"]
+    types = [pa.int64()] * 5 + [pa.bool_()]
+
+    def shown(t: dict[str, np.ndarray]) -> pa.RecordBatch:
+        edge = [0, *(np.flatnonzero(np.diff(t["row"])) + 1).tolist(), len(t["row"])]
+        rows = [x for a, b in zip(edge, edge[1:]) for x in _passages({k: v[a:b] for k, v in t.items()})]
+        return pa.RecordBatch.from_arrays([pa.array([x[i] for x in rows], types[i]) for i in range(6)], names)
+
+    held: list[dict] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        t = {k: batch.column(i).to_numpy(zero_copy_only=False) for i, k in enumerate(batch.schema.names)}
+        at = int(np.searchsorted(t["row"], t["row"][-1]))
+        if at or (held and held[-1]["row"][-1] != t["row"][0]):
+            held.append({k: v[:at] for k, v in t.items()})
+            yield shown({k: np.concatenate([h[k] for h in held]) for k in t})
+            held = []
+        held.append({k: v[at:] for k, v in t.items()})
+    if held:
+        yield shown({k: np.concatenate([h[k] for h in held]) for k in held[0]})
+
+
 def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """docs(doc_id long, text) -> doc_id, start, end (code points), n_words, first_doc, removed: a row for each
-    passage of a document that occurs in another document too."""
+    passage of a document that occurs in another document too, with one verdict and one first document."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    schema = "row long, doc_id long, line boolean, print long, w0 long, w1 long, c0 long, c1 long, n long, bands array<long>"
+    schema = "row long, doc_id long, line boolean, print long, w0 long, w1 long, c0 long, c1 long, before long, after long, n long, bands array<long>"
     pieces = C.settle(docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text").mapInArrow(cutter(), schema), "passage-pieces")
     lines = pieces.filter("line")
     place = F.min(F.struct("doc_id", "w0", "w1"))
@@ -148,13 +202,10 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     sets = C.settle(sets, "passage-sets").dropDuplicates(["id"])
     comp = op3_minhash.linked(busy, sets, percent, name="passage").select(F.col("id").alias("print"), "comp")
     clustered = lines.drop("bands", "n").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp")
-    clustered = C.settle(clustered.select("row", "doc_id", "line", "w0", "w1", "c0", "c1", "cluster"), "passage-lines")
-    every = clustered.unionByName(pieces.filter("not line").select("row", "doc_id", "line", "w0", "w1", "c0", "c1", F.col("print").alias("cluster")))
+    clustered = C.settle(clustered.select("row", "doc_id", "line", *PLACE, "cluster"), "passage-lines")
+    every = clustered.unionByName(pieces.filter("not line").select("row", "doc_id", "line", *PLACE, F.col("print").alias("cluster")))
     spread = every.groupBy("line", "cluster").agg(F.min(F.struct("doc_id", "w0", "row")).alias("first"), F.max("doc_id").alias("last")).filter(F.col("first.doc_id") < F.col("last"))
     hit = every.join(spread, ["line", "cluster"]).withColumn("gone", (F.col("doc_id") != F.col("first.doc_id")) | (F.col("w0") != F.col("first.w0")))
-    # Passages: overlapping or touching pieces of one document.
-    by = Window.partitionBy("row").orderBy("w0", "w1")
-    reach = F.max("w1").over(by.rowsBetween(Window.unboundedPreceding, -1))
-    hit = hit.withColumn("fresh", F.when(F.col("w0") <= reach, 0).otherwise(1)).withColumn("passage", F.sum("fresh").over(by))
-    out = hit.groupBy("row", "doc_id", "passage").agg(F.min("c0").alias("start"), F.max("c1").alias("end"), (F.max("w1") - F.min("w0")).alias("n_words"), F.min("first.doc_id").alias("first_doc"), F.min("gone").alias("removed"))
-    return out.select("doc_id", "start", "end", "n_words", "first_doc", "removed")
+    hit = hit.select("row", "doc_id", *PLACE, F.col("first.doc_id").alias("first_doc"), "gone")
+    schema = "doc_id long, start long, end long, n_words long, first_doc long, removed boolean"
+    return hit.repartition("row").sortWithinPartitions("row").mapInArrow(painter, schema)

@@ -362,6 +362,40 @@ def test_a_pasted_passage_is_found_wherever_it_stands(spark):
     assert {x["doc_id"] for x in op9_substring.repeated_passages(d).collect()} == set(range(40))
 
 
+def removed_words(spark, rows):
+    """doc_id -> for each word whether it is in a removed passage; passages of a document don't overlap."""
+    texts = dict(rows)
+    out = {i: [False] * len(words(t)) for i, t in rows}
+    seen = set()
+    for x in op9_substring.repeated_passages(spark.createDataFrame(rows, "doc_id long, text string")).collect():
+        text = texts[x["doc_id"]]
+        part = text[x["start"] : x["end"]]
+        assert part == part.strip() and len(words(part)) == x["n_words"]
+        a = len(words(text[: x["start"]]))
+        for k in range(a, a + x["n_words"]):
+            assert (x["doc_id"], k) not in seen
+            seen.add((x["doc_id"], k))
+            out[x["doc_id"]][k] = x["removed"]
+    return out
+
+
+def test_each_repeated_range_has_its_own_verdict(spark):
+    """An original, an edited copy and a copy of the edit; adjacent paragraphs with different first documents."""
+    one = [f"a{i}" for i in range(300)]
+    two = [*one[:150], *(f"b{i}" for i in range(200))]
+    near = [*one[:150], "edited", *one[151:]]
+    line = lambda p: " ".join(f"{p}{i}" for i in range(40))
+    rows = [(1, " ".join(one)), (2, " ".join(two)), (3, " ".join(two)), (4, " ".join(near)), (5, " ".join(near))]
+    rows += [(11, line("x")), (12, "\n".join([line("y"), line("x")])), (13, "\n".join([line("x"), line("y"), line("z")])), (14, line("z"))]
+    got = removed_words(spark, rows)
+    assert not any(got[1]) and not any(got[11])
+    assert all(got[2][20:130]) and not any(got[2][150:])
+    assert all(got[3]) and all(got[4]) and all(got[5])
+    assert got[12] == [False] * 40 + [True] * 40
+    assert got[13] == [True] * 80 + [False] * 40
+    assert all(got[14])
+
+
 # ------------------------------------------------------------------ 10
 def test_licenses(docs, rows, empty):
     got = {r["doc_id"]: r for r in op10_license.scan(docs).collect()}
