@@ -175,20 +175,24 @@ def shingle_sets(w: Words, k: int) -> list[np.ndarray]:
 
 
 # ------------------------------------------------------------------ components
-def components(links: DataFrame, name: str, max_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame, name: str) -> DataFrame:
     """(id, comp): for every id of links (a, b) the smallest id that can be reached.
 
-    Each round takes the smallest label of the neighbours and then follows the label once more (pointer
-    jumping), so that chains shorten geometrically. Labels are written to the shared folder each round; the
-    driver sees one count. Hot ids are pre-aggregated by min() or split by the adaptive join."""
+    In each round an id takes the smallest label of its neighbours and its label's label (pointer jumping), and hands
+    the former to the label it had too (hooking), so that whole trees meet at once and chains of any order shorten
+    geometrically. Labels only fall, so rounds end by themselves, when none has changed. Labels are written to the
+    shared folder each round; the driver sees one count. Hot ids are pre-aggregated by min() or split by the adaptive
+    join."""
     both = settle(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).filter("a <> b").distinct(), f"{name}-edges")
     label = settle(both.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("m")).select("id", F.least("id", "m").alias("comp")), f"{name}-label")
-    for _ in range(max_rounds):
+    while True:
         near = both.join(label.select(F.col("id").alias("b"), "comp"), "b").groupBy(F.col("a").alias("id")).agg(F.min("comp").alias("near"))
+        seen = settle(label.join(near, "id"), f"{name}-near")
+        hook = seen.groupBy("comp").agg(F.min("near").alias("hook"))
         up = label.select(F.col("id").alias("comp"), F.col("comp").alias("up"))
-        step = label.join(near, "id").join(up, "comp").select("id", F.least("comp", "near", "up").alias("next"), F.col("comp").alias("was"))
-        step = settle(step, f"{name}-label")
+        step = seen.join(up, "comp").join(hook.withColumnRenamed("comp", "id"), "id", "left")
+        # least() skips nulls: ids that are nobody's label have no hook.
+        step = settle(step.select("id", F.least("comp", "near", "up", "hook").alias("next"), F.col("comp").alias("was")), f"{name}-label")
         label = step.select("id", F.col("next").alias("comp"))
         if step.filter("next <> was").limit(1).count() == 0:
             return label
-    raise RuntimeError(f"components not settled after {max_rounds} rounds")

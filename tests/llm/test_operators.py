@@ -11,6 +11,7 @@ from collections import Counter
 import pytest
 from pyspark.sql import functions as F
 
+from pathweave.llm import common as C
 from pathweave.llm import (
     op1_decontaminate, op2_pii, op3_minhash, op4_quality, op5_hosts, op6_packing, op7_tools, op8_language, op9_substring, op10_license,
 )
@@ -216,6 +217,16 @@ def test_near_duplicates_of_a_crowd(spark):
         assert {r["doc_id"]: r["component_id"] for r in op3_minhash.near_duplicates(d, small_bucket=small).collect()} == want
 
 
+def test_components_of_long_chains(spark):
+    """Chains of several hundred, in random and in descending order, and a lone pair."""
+    order = list(range(1, 400))
+    random.Random(6).shuffle(order)
+    chains = [[1000, *(1000 + i for i in order)], [2000, *range(2299, 2000, -1)], [3001, 3000]]
+    links = spark.createDataFrame([x for c in chains for x in zip(c, c[1:])], "a long, b long")
+    got = {r["id"]: r["comp"] for r in C.components(links, "test").collect()}
+    assert got == {i: min(c) for c in chains for i in c}
+
+
 # ------------------------------------------------------------------ 4
 def test_quality(spark, docs, rows, empty):
     boiler = "this very same line stands in every page of the host"
