@@ -8,7 +8,10 @@ wherever it stands.
 Lines are banded on the MinHash of their five-word shingles (bands of two, tuned for recall: a pair of similarity 0.8
 is missed with probability 3e-4), colliding ones are confirmed by exact Jaccard on full sets and clustered by components.
 Windows are short and must be equal: their cluster is that of equal content. A cluster in two documents or more is a
-repeat; its occurrence with the smallest (document, start) is kept, the others are removed. A word that stands in a
+repeat; its occurrence with the smallest (document, start) is kept, the others are removed. Touching windows that repeat
+the same text at the same distance are one span, which is extended word by word to both sides to where it and the kept
+occurrence stop agreeing; the kept occurrence is extended likewise. Where texts agree for more than NEAR - 1 words beyond a
+window, another window is shared, so no extension looks further than NEAR words. A word that stands in a
 removed piece goes, whatever else holds it; pieces are cut at each other's borders and merged into passages of one verdict
 and one first document (the smallest of the pieces that gave the verdict).
 
@@ -22,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathweave.llm import common as C
@@ -60,7 +63,7 @@ def anchors(w: C.Words) -> np.ndarray:
 
 
 def cutter():
-    """mapInArrow function: row, doc_id, text -> paragraphs and windows."""
+    """mapInArrow function: row, doc_id, text, key -> paragraphs and windows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rnd = np.random.default_rng(17)
@@ -112,8 +115,8 @@ def cutter():
                 for is_line, s, e, distinct, bands in parts:
                     at = pa.array(i + w.row[s])
                     yield pa.RecordBatch.from_arrays(
-                        [batch.column(0).take(at), ids.take(at), pa.array(is_line), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(c0[s]), pa.array(c1[e - 1]), pa.array(before[s]), pa.array(after[e - 1]), pa.array(distinct), bands],
-                        ["row", "doc_id", "line", "print", "w0", "w1", "c0", "c1", "before", "after", "n", "bands"],
+                        [batch.column(0).take(at), batch.column(3).take(at), ids.take(at), pa.array(is_line), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(c0[s]), pa.array(c1[e - 1]), pa.array(before[s]), pa.array(after[e - 1]), pa.array(distinct), bands],
+                        ["row", "key", "doc_id", "line", "print", "w0", "w1", "c0", "c1", "before", "after", "n", "bands"],
                     )
 
     return run
@@ -185,12 +188,66 @@ def painter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield shown({k: np.concatenate([h[k] for h in held]) for k in held[0]})
 
 
+def looker(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """mapInArrow: doc_id, key, text, spans (w0, w1) -> each span with the hashes of up to NEAR words before it (nearest first)
+    and after it, and the characters at which a piece from there on starts and ends, and its neighbours end and start."""
+    names = ["doc_id", "key", "w0", "w1", "lh", "rh", "c0", "before", "c1", "after"]
+    kinds = [pa.int64()] * 4 + [pa.list_(pa.int64())] * 6
+    for batch in batches:
+        raw, off, valid = C.buffers(batch.column(2))
+        ids, keys = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+        for i, j in C.steps(off):
+            w = C.Words(raw, off, valid, i, j, C.SPACE)
+            chars = np.concatenate([[0], np.cumsum((w.data & 0xC0) != 0x80)])
+            rows = []
+            for r in range(i, j):
+                lo, hi, base = int(w.bounds[r - i]), int(w.bounds[r - i + 1]), chars[off[r] - w.lo]
+                h = w.hash[lo:hi].view(np.int64)
+                c0, c1 = chars[w.start[lo:hi]] - base, chars[w.end[lo:hi]] - base
+                for span in batch.column(3)[r].as_py():
+                    a, b = span["w0"], span["w1"]
+                    far = max(a - NEAR, 0)
+                    rows.append((ids[r], keys[r], a, b, h[far:a][::-1], h[b : b + NEAR], c0[far : a + 1][::-1], c1[max(far - 1, 0) : a][::-1], c1[b - 1 : b + NEAR], c0[b : b + NEAR + 1]))
+            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in rows], kinds[k]) for k in range(10)], names)
+
+
+def _extended(docs: DataFrame, hit: DataFrame) -> DataFrame:
+    """The windows to remove as spans, each extended against its first occurrence, and those first occurrences as far."""
+    first = [F.col(f"first.{c}").alias(f"f_{c}") for c in ("doc_id", "row", "key")]
+    gone = hit.filter("gone and not line").select("row", "key", "doc_id", "w0", "w1", *first, (F.col("w0") - F.col("first.w0")).alias("shift"))
+    same = ["row", "key", "doc_id", "f_row", "f_key", "f_doc_id", "shift"]
+    by = Window.partitionBy(*same).orderBy("w0")
+    fresh = F.when(F.col("w0") <= F.max("w1").over(by.rowsBetween(Window.unboundedPreceding, -1)), 0).otherwise(1)
+    spans = gone.withColumn("fresh", fresh).withColumn("span", F.sum("fresh").over(by)).groupBy(*same, "span").agg(F.min("w0").alias("w0"), F.max("w1").alias("w1"))
+    spans = C.settle(spans.drop("span").withColumn("f_w0", F.col("w0") - F.col("shift")).withColumn("f_w1", F.col("w1") - F.col("shift")), "passage-spans")
+    at = ["doc_id", "key", "w0", "w1"]
+    asked = spans.select(*at).union(spans.select(*(f"f_{c}" for c in at))).distinct().groupBy("doc_id", "key").agg(F.collect_list(F.struct("w0", "w1")).alias("spans"))
+    schema = "doc_id long, key long, w0 long, w1 long, " + ", ".join(f"{c} array<long>" for c in ("lh", "rh", "c0", "before", "c1", "after"))
+    around = C.settle(docs.join(asked, ["doc_id", "key"]).select("doc_id", "key", "text", "spans").mapInArrow(looker, schema), "passage-around").dropDuplicates(at)
+    both = spans.join(around, at).join(around.select(*(F.col(c).alias(f"f_{c}") for c in around.columns)), [f"f_{c}" for c in at])
+
+    def equal(side: str):
+        """How many words from the span outward are equal."""
+        agree = F.zip_with(side, f"f_{side}", lambda x, y: F.coalesce(x == y, F.lit(False)))
+        other = F.array_position(agree, False)
+        return F.when(other > 0, other - 1).otherwise(F.size(side)).cast("int")
+
+    both = both.withColumn("x", equal("lh")).withColumn("y", equal("rh"))
+    pick = lambda p: [(F.col(f"{p}w0") - F.col("x")).alias("w0"), (F.col(f"{p}w1") + F.col("y")).alias("w1"), *(F.coalesce(F.get(f"{p}{c}", F.col(n)), F.lit(0)).alias(c) for c, n in (("c0", "x"), ("c1", "y"), ("before", "x"), ("after", "y")))]
+    both = C.settle(both.select("row", "doc_id", "f_doc_id", "f_key", F.struct(*pick("")).alias("own"), F.struct(*pick("f_")).alias("kept")), "passage-extended")
+    own = both.select("row", "doc_id", "own.*", F.col("f_doc_id").alias("first_doc"), F.lit(True).alias("gone"))
+    kept = both.select(F.col("f_doc_id").alias("doc_id"), F.col("f_key").alias("key"), "kept.*").distinct()
+    # Repeated rows of the first document have the same passages.
+    kept = kept.join(hit.select("row", "doc_id", "key").distinct(), ["doc_id", "key"])
+    return own.unionByName(kept.select("row", "doc_id", *PLACE, F.col("doc_id").alias("first_doc"), F.lit(False).alias("gone")))
+
+
 def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """docs(doc_id long, text) -> doc_id, start, end (code points), n_words, first_doc, removed: a row for each
     passage of a document that occurs in another document too, with one verdict and one first document."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    schema = "row long, doc_id long, line boolean, print long, w0 long, w1 long, c0 long, c1 long, before long, after long, n long, bands array<long>"
-    pieces = C.settle(docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text").mapInArrow(cutter(), schema), "passage-pieces")
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("key", F.xxhash64("text"))
+    schema = "row long, key long, doc_id long, line boolean, print long, w0 long, w1 long, c0 long, c1 long, before long, after long, n long, bands array<long>"
+    pieces = C.settle(docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", "key").mapInArrow(cutter(), schema), "passage-pieces")
     lines = pieces.filter("line")
     place = F.min(F.struct("doc_id", "w0", "w1"))
     classes = C.settle(lines.groupBy(F.col("print").alias("id")).agg(place.alias("at"), F.first("n").alias("n"), F.first("bands").alias("bands")), "passage-classes")
@@ -202,10 +259,12 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     sets = C.settle(sets, "passage-sets").dropDuplicates(["id"])
     comp = op3_minhash.linked(busy, sets, percent, name="passage").select(F.col("id").alias("print"), "comp")
     clustered = lines.drop("bands", "n").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp")
-    clustered = C.settle(clustered.select("row", "doc_id", "line", *PLACE, "cluster"), "passage-lines")
-    every = clustered.unionByName(pieces.filter("not line").select("row", "doc_id", "line", *PLACE, F.col("print").alias("cluster")))
-    spread = every.groupBy("line", "cluster").agg(F.min(F.struct("doc_id", "w0", "row")).alias("first"), F.max("doc_id").alias("last")).filter(F.col("first.doc_id") < F.col("last"))
+    clustered = C.settle(clustered.select("row", "key", "doc_id", "line", *PLACE, "cluster"), "passage-lines")
+    every = clustered.unionByName(pieces.filter("not line").select("row", "key", "doc_id", "line", *PLACE, F.col("print").alias("cluster")))
+    spread = every.groupBy("line", "cluster").agg(F.min(F.struct("doc_id", "w0", "row", "key")).alias("first"), F.max("doc_id").alias("last")).filter(F.col("first.doc_id") < F.col("last"))
     hit = every.join(spread, ["line", "cluster"]).withColumn("gone", (F.col("doc_id") != F.col("first.doc_id")) | (F.col("w0") != F.col("first.w0")))
-    hit = hit.select("row", "doc_id", *PLACE, F.col("first.doc_id").alias("first_doc"), "gone")
+    hit = C.settle(hit.select("row", "key", "doc_id", "line", *PLACE, "first", "gone"), "passage-hits")
+    whole = hit.filter("line or not gone").select("row", "doc_id", *PLACE, F.col("first.doc_id").alias("first_doc"), "gone")
+    pieces = whole.unionByName(_extended(docs, hit))
     schema = "doc_id long, start long, end long, n_words long, first_doc long, removed boolean"
-    return hit.repartition("row").sortWithinPartitions("row").mapInArrow(painter, schema)
+    return pieces.repartition("row").sortWithinPartitions("row").mapInArrow(painter, schema)

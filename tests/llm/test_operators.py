@@ -407,6 +407,23 @@ def test_each_repeated_range_has_its_own_verdict(spark):
     assert all(got[14])
 
 
+def test_a_pasted_passage_is_returned_whole(spark):
+    """Passages of 51 and 60 words, in a line or as short lines: start, end and words are exact."""
+    r = random.Random(8)
+    rows, where = [], {}
+    for p, (n, sep) in enumerate(((51, " "), (60, " "), (51, "\n"), (75, "\n"))):
+        passage = " ".join(f"p{p}x{i}" + (sep if i % 6 == 5 and i + 1 < n else "") for i in range(n))
+        for k in range(6):
+            i = 10 * p + k
+            head, tail = " ".join(f"é{i}h{j}" for j in range(r.randint(0, 40))), " ".join(f"d{i}t{j}" for j in range(r.randint(0, 40)))
+            text = " ".join(x for x in (head, passage, tail) if x)
+            rows.append((i, text))
+            where[i] = (text.index(passage), text.index(passage) + len(passage), n, 10 * p, k > 0)
+    d = spark.createDataFrame([*rows, rows[0]], "doc_id long, text string")
+    got = [tuple(x) for x in op9_substring.repeated_passages(d).collect()]
+    assert sorted(got) == sorted([(i, *v) for i, v in where.items()] + [(0, *where[0])])
+
+
 # ------------------------------------------------------------------ 10
 def test_licenses(docs, rows, empty):
     got = {r["doc_id"]: r for r in op10_license.scan(docs).collect()}
