@@ -1,11 +1,12 @@
 """Repeated passages by paragraph MinHash banding.
 
-A text's paragraphs are its lines of MIN_WORDS words or more, and, as a passage may be pasted into the middle of a
-line, windows of WINDOW words whose starts are chosen by content alone: a window starts at every smallest three-word
-hash among NEAR consecutive ones. A passage of NEAR + 2 + WINDOW words or more (50) holds at least one whole window,
-wherever it stands.
+A text's paragraphs are its lines of MIN_WORDS words or more; consecutive shorter lines, up to a blank one, are joined to
+one paragraph, and as a passage may stand among others in such a run, so are those from each of its lines on that hold
+CHUNK words together. As a passage may be pasted into the middle of a line, there are also windows of WINDOW words whose
+starts are chosen by content alone: a window starts at every smallest three-word hash among NEAR consecutive ones. A passage
+of NEAR + 2 + WINDOW words or more (50) holds at least one whole window, wherever it stands.
 
-Lines are banded on the MinHash of their five-word shingles (bands of two, tuned for recall: a pair of similarity 0.8
+Paragraphs are banded on the MinHash of their five-word shingles (bands of two, tuned for recall: a pair of similarity 0.8
 is missed with probability 3e-4), colliding ones are confirmed by exact Jaccard on full sets and clustered by components.
 Windows are short and must be equal: their cluster is that of equal content. A cluster in two documents or more is a
 repeat; its occurrence with the smallest (document, start) is kept, the others are removed. Touching windows that repeat
@@ -32,7 +33,7 @@ from pathweave.llm import common as C
 from pathweave.llm import op3_minhash
 
 MIN_WORDS, WINDOW, NEAR, GRAM = 28, 28, 20, 3
-SHINGLE, BAND, BANDS, PERCENT = 5, 2, 8, 80
+CHUNK, SHINGLE, BAND, BANDS, PERCENT = 50, 5, 2, 8, 80
 PLACE = ["w0", "w1", "c0", "c1", "before", "after"]
 _P = np.uint64(0xD6E8FEB86659FD93)
 _INV = np.uint64(pow(0xD6E8FEB86659FD93, -1, 1 << 64))
@@ -62,6 +63,22 @@ def anchors(w: C.Words) -> np.ndarray:
     return np.unique(idx[whole])
 
 
+def paragraphs(s: np.ndarray, e: np.ndarray, line: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First words and ends of the paragraphs, from those of the lines that have words."""
+    long = e - s >= MIN_WORDS
+    new = np.ones(len(s), bool)
+    new[1:] = long[1:] | long[:-1] | (row[s[1:]] != row[s[:-1]]) | (line[s[1:]] > line[s[:-1]] + 1)
+    first = np.flatnonzero(new)
+    last = np.append(first[1:], len(s)) - 1
+    # From each line of a run on, the lines up to the one that makes CHUNK words; not the run again.
+    run = np.cumsum(new) - 1
+    to = np.searchsorted(e, s + CHUNK)
+    k = np.flatnonzero(to <= last[run])
+    k = k[~(new[k] & (to[k] == last[run[k]]))]
+    p, q = np.append(s[first], s[k]), np.append(e[last], e[to[k]])
+    return p[q - p >= MIN_WORDS], q[q - p >= MIN_WORDS]
+
+
 def cutter():
     """mapInArrow function: row, doc_id, text, key -> paragraphs and windows."""
 
@@ -86,8 +103,7 @@ def cutter():
                 new = np.concatenate([[True], (line[1:] != line[:-1]) | (w.row[1:] != w.row[:-1])])
                 s = np.flatnonzero(new)
                 e = np.append(s[1:], len(w.start))
-                long = e - s >= MIN_WORDS
-                s, e = s[long], e[long]
+                s, e = paragraphs(s, e, line, w.row)
                 parts = []
                 total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(w.hash * _pow(_P, len(w.hash)))])
                 inv = _pow(_INV, len(w.hash) + 1)
@@ -95,12 +111,12 @@ def cutter():
                 if len(s):
                     g = C.roll(w.hash, SHINGLE)
                     at = np.column_stack([s, e - SHINGLE + 1]).reshape(-1)
-                    stop = at[-1] == len(g)
                     least = np.empty((len(s), BAND * BANDS), np.uint64)
                     for k in range(BAND * BANDS):
                         x = g * a[k] + b[k]
                         x ^= x >> np.uint64(29)
-                        least[:, k] = np.minimum.reduceat(x, at[:-1] if stop else at)[::2]
+                        # One more, as paragraphs at the end stop behind the last shingle.
+                        least[:, k] = np.minimum.reduceat(np.append(x, x[-1:]), at)[::2]
                     h = np.tile(np.arange(BANDS, dtype=np.uint64), (len(s), 1))
                     for k in range(BAND):
                         h = C.mix(h * np.uint64(31) + least[:, k::BAND])

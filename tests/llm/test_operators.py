@@ -424,6 +424,24 @@ def test_a_pasted_passage_is_returned_whole(spark):
     assert sorted(got) == sorted([(i, *v) for i, v in where.items()] + [(0, *where[0])])
 
 
+def test_near_copies_of_hard_wrapped_passages(spark):
+    """56 words in lines of 8, one of them changed: alone, between blank lines, and among other short lines."""
+    wrap = lambda w: "\n".join(" ".join(w[i : i + 8]) for i in range(0, len(w), 8))
+    rows = []
+    for p in range(12):
+        one = [f"p{p}w{i}" for i in range(56)]
+        two = [*one[:28], "changed", *one[29:]]
+        other = lambda k: wrap([f"o{p}{k}v{i}" for i in range(24)])
+        rows.append((10 * p, wrap(one)))
+        rows.append((10 * p + 1, [wrap(two), f"{other(1)}\n\n{wrap(two)}\n \n{other(2)}", f"{other(1)}\n{wrap(two)}\n{other(2)}"][p % 3]))
+    got = removed_words(spark, rows)
+    for p in range(12):
+        assert not any(got[10 * p])
+        at = 24 if p % 3 else 0
+        assert all(got[10 * p + 1][at : at + 56]), p
+    assert max(sum(x) for x in got.values()) == 56
+
+
 # ------------------------------------------------------------------ 10
 def test_licenses(docs, rows, empty):
     got = {r["doc_id"]: r for r in op10_license.scan(docs).collect()}
