@@ -74,6 +74,8 @@ SPECS: dict[str, tuple] = {
     "trail_diamond": ("diamond:8", "TRAIL", "a*", 0, 24, {}),
     "trail_diamond_dfs": ("diamond:8", "TRAIL", "a*", 0, 24, {"order": "dfs"}),
     **{f"{m}_{r}_slice": ("slice:1", text.format(r=r.upper()), "purchase+", None, None, {}) for m, text in MODES.items() for r in ("trail", "simple", "acyclic")},
+    # Over the whole graph a star has too many paths; a bounded expression has all of its own.
+    **{f"{m}_{r}_hop": ("hop", text.format(r=r.upper()), "purchase{1,3}", None, None, {}) for m, text in MODES.items() for r in ("trail", "simple", "acyclic")},
     "all_trail_slice_2": ("slice:2", "TRAIL", "purchase/click*", None, None, {}),
     "two_way_star": ("star", "ANY SHORTEST WALK", "placed/contains/^supplies/basedin/partof?", "C:1", None, {}),
     "two_way_both_const": ("star", "ANY SHORTEST WALK", "(placed/contains/^contains/^placed){1,2}", "C:1", "C:4", {}),
@@ -283,18 +285,26 @@ def bl_per_start(spark, sf_dir):
     return _shown(Result(baselines.per_start_loop(graph(spark, sf_dir, "slice:1").cached(), "TRAIL", "purchase+", [0, 1, 2, 3, 4])))
 
 
-@_add("bitmask_endpoints", oracles.endpoints("slice:2", "purchase/click*"))
-def bitmask_endpoints(spark, sf_dir):
+def _by_mask(g: PathGraph, pattern: str) -> DataFrame:
     from pathweave.operators import product, rounds, seeds
     from pathweave.plans.planner import compiled
     from pathweave.query import PathQuery
 
-    g = graph(spark, sf_dir, "slice:2")
-    a = compiled(g, PathQuery(None, "purchase/click*"))
+    a = compiled(g, PathQuery(None, pattern))
     r = rounds.Rounds(g, a, seeds.resolve(g, a, product.adjacency(g, a), None))
     return _ends(Result(r.endpoints_by_mask()))
 
 
+@_add("bitmask_endpoints", oracles.endpoints("slice:2", "purchase/click*"))
+def bitmask_endpoints(spark, sf_dir):
+    return _by_mask(graph(spark, sf_dir, "slice:2"), "purchase/click*")
+
+
+@_add("bitmask_endpoints_hop", oracles.endpoints("hop", "purchase/click*"))
+def bitmask_endpoints_hop(spark, sf_dir):
+    return _by_mask(graph(spark, sf_dir, "hop"), "purchase/click*")
+
+
 @_add("dfs_any_trail_diamond", "SELECT CAST(0 AS BIGINT) AS src, CAST(90 AS BIGINT) AS dst, CAST(60 AS INTEGER) AS length")
 def dfs_any_trail_diamond(spark, sf_dir):
     return workloads.diamond(spark, 30, "ANY TRAIL", order="dfs").df.select(F.col("start").alias("src"), F.col("end").alias("dst"), "length")

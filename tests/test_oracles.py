@@ -35,5 +35,11 @@ def test_query_equals_its_sql(spark, con, name):
     assert got == want
 
 
+@pytest.mark.parametrize("name", ["all_trail_hop", "all_simple_hop", "shortest_k_acyclic_hop", "bitmask_endpoints_hop"])
+def test_whole_graph_query_equals_its_sql(spark, con, name):
+    assert "2024-01-01" not in entry.oracle_sql()[name]
+    test_query_equals_its_sql(spark, con, name)
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
