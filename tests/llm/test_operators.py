@@ -201,6 +201,15 @@ def test_near_duplicates(docs, rows, empty, small_bucket):
     assert op3_minhash.near_duplicates(empty).count() == 0
 
 
+def test_one_row_of_each_survivor_stays(spark, docs, rows):
+    want = components_by_brute_force(rows, 85)
+    got = op3_minhash.survivors(docs)
+    assert got.columns == docs.columns
+    assert sorted(r["doc_id"] for r in got.collect()) == sorted(i for i, (_, c) in want.items() if i == c)
+    lone = spark.createDataFrame([(None, "a"), (None, "a"), (1, "b"), (1, "b")], "doc_id long, text string")
+    assert sorted(r["text"] for r in op3_minhash.survivors(lone).collect()) == ["a", "a", "b"]
+
+
 def test_near_duplicates_of_a_crowd(spark):
     """Many sets around one core, linked in chains and not: buckets mix components."""
     r = random.Random(9)
