@@ -451,11 +451,18 @@ def masked(docs: DataFrame, model: dict | None = None) -> DataFrame:
                 for r, text, more in zip(rows, texts, own):
                     spans = [(s, e, kind) for kind, v in base_spans(text).items() for s, e in v]
                     spans += [(s, e, kind) for kind, s, e in more if all(e <= a or z <= s for a, z, _ in spans)]
-                    parts, at = [], 0
+                    # Overlapping spans go as one; the longest names the kind.
+                    joined: list[list] = []
                     for s, e, kind in sorted(spans):
-                        if s >= at:
-                            parts += [text[at:s], f"<{kind}>"]
-                            at = e
+                        if joined and s < joined[-1][1]:
+                            joined[-1][1] = max(joined[-1][1], e)
+                            joined[-1][2] = max(joined[-1][2], (e - s, kind), key=lambda x: x[0])
+                        else:
+                            joined.append([s, e, (e - s, kind)])
+                    parts, at = [], 0
+                    for s, e, (_, kind) in joined:
+                        parts += [text[at:s], f"<{kind}>"]
+                        at = e
                     out[r] = "".join([*parts, text[at:]])
             yield batch.set_column(k, batch.schema.field(k), pa.array(out, batch.schema.field(k).type))
 

@@ -133,6 +133,12 @@ def test_personal_data(spark, docs, rows, empty):
     assert shown[223] is None and shown[1] == rows[1][1]
 
 
+def test_overlapping_spans_are_masked_whole(spark):
+    texts = ["to +14155550100@carrier.com now", "to 10.1.2.3@host.org now", "to 4465758382889437@card.example.org now"]
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {r["text"] for r in op2_pii.masked(d).collect()} == {"to <email> now"}
+
+
 def test_tagger_learns_and_windows_agree():
     r = random.Random(5)
     word = lambda: "".join(r.choice("abcdefgh") for _ in range(r.randint(2, 7)))
