@@ -418,7 +418,7 @@ def train(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> dict | None:
     holds = F.col("text").rlike(r"@[A-Za-z0-9-]+\.[A-Za-z0-9]|\+[0-9][ ().0-9-]{6}|[0-9][0-9 -]{14}|[0-9]\.[0-9]+\.[0-9]+\.[0-9]")
     some = docs.filter(holds & (F.length("text") <= SAMPLE_CHARS)).select("text", F.xxhash64("text").alias("h"))
     # Numbers first, then the few texts below the last of them: no task sends texts that are not taken.
-    least = [r["h"] for r in some.select("h").orderBy("h").limit(sample_docs).collect()]
+    least = [r["h"] for r in some.select("h").distinct().orderBy("h").limit(sample_docs).collect()]
     if not least:
         return None
     some = some.filter(F.col("h") <= max(least)).dropDuplicates(["h"]).orderBy("h").collect()

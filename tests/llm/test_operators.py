@@ -139,6 +139,14 @@ def test_overlapping_spans_are_masked_whole(spark):
     assert {r["text"] for r in op2_pii.masked(d).collect()} == {"to <email> now"}
 
 
+def test_copies_count_once_in_training(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(op2_pii, "training_windows", lambda texts: seen.extend(texts))
+    d = spark.createDataFrame([(f"mail a{i}@host.example.org",) for i in range(8) for _ in range(10)], "text string")
+    op2_pii.train(d, sample_docs=5)
+    assert len(seen) == len(set(seen)) == 5
+
+
 def test_tagger_learns_and_windows_agree():
     r = random.Random(5)
     word = lambda: "".join(r.choice("abcdefgh") for _ in range(r.randint(2, 7)))
