@@ -1,8 +1,7 @@
 """Repeated passages by paragraph MinHash banding.
 
 A text's paragraphs are its lines of MIN_WORDS words or more; consecutive shorter lines, up to a blank one, are joined to
-one paragraph, and as a passage may stand among others in such a run, so are those from each of its lines on that hold
-CHUNK words together. As a passage may be pasted into the middle of a line, there are also windows of WINDOW words whose
+one paragraph. As a passage may be pasted into the middle of a line, there are also windows of WINDOW words whose
 starts are chosen by content alone: a window starts at every smallest three-word hash among NEAR consecutive ones. A passage
 of NEAR + 2 + WINDOW words or more (50) holds at least one whole window, wherever it stands.
 
@@ -33,7 +32,7 @@ from pathweave.llm import common as C
 from pathweave.llm import op3_minhash
 
 MIN_WORDS, WINDOW, NEAR, GRAM = 28, 28, 20, 3
-CHUNK, SHINGLE, BAND, BANDS, PERCENT = 50, 5, 2, 8, 80
+SHINGLE, BAND, BANDS, PERCENT = 5, 2, 8, 80
 PLACE = ["w0", "w1", "c0", "c1", "before", "after"]
 _P = np.uint64(0xD6E8FEB86659FD93)
 _INV = np.uint64(pow(0xD6E8FEB86659FD93, -1, 1 << 64))
@@ -70,12 +69,7 @@ def paragraphs(s: np.ndarray, e: np.ndarray, line: np.ndarray, row: np.ndarray)
     new[1:] = long[1:] | long[:-1] | (row[s[1:]] != row[s[:-1]]) | (line[s[1:]] > line[s[:-1]] + 1)
     first = np.flatnonzero(new)
     last = np.append(first[1:], len(s)) - 1
-    # From each line of a run on, the lines up to the one that makes CHUNK words; not the run again.
-    run = np.cumsum(new) - 1
-    to = np.searchsorted(e, s + CHUNK)
-    k = np.flatnonzero(to <= last[run])
-    k = k[~(new[k] & (to[k] == last[run[k]]))]
-    p, q = np.append(s[first], s[k]), np.append(e[last], e[to[k]])
+    p, q = s[first], e[last]
     return p[q - p >= MIN_WORDS], q[q - p >= MIN_WORDS]
 
 
