@@ -174,6 +174,25 @@ def shingle_sets(w: Words, k: int) -> list[np.ndarray]:
     return out
 
 
+#: Words of a set's parity bitmap.
+BITS = [f"bits_{i}" for i in range(8)]
+SET_SCHEMA = "id long, items array<long>, " + ", ".join(f"{c} long" for c in BITS)
+
+
+def parity_bits(items: np.ndarray) -> np.ndarray:
+    """A bitmap in which each item flips one bit: two sets differ in at least as many items as their bitmaps in bits."""
+    place = (mix(items) >> np.uint64(55)).astype(np.int64)
+    return np.packbits((np.bincount(place, minlength=512) & 1).astype(np.uint8)).view(np.int64)
+
+
+def set_batch(ids: pa.Array, sets: list[np.ndarray]) -> pa.RecordBatch:
+    """Rows of SET_SCHEMA."""
+    at = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
+    items = np.concatenate([np.zeros(0, np.uint64), *sets]).view(np.int64)
+    bits = np.array([parity_bits(s) for s in sets], np.int64).reshape(len(sets), len(BITS))
+    return pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(pa.array(at), pa.array(items)), *(pa.array(np.ascontiguousarray(bits[:, i])) for i in range(len(BITS)))], ["id", "items", *BITS])
+
+
 # ------------------------------------------------------------------ components
 def components(links: DataFrame, name: str) -> DataFrame:
     """(id, comp): for every id of links (a, b) the smallest id that can be reached.

@@ -142,8 +142,7 @@ def setter():
             for i, j in C.steps(off):
                 w = C.Words(raw, off, valid, i, j, C.SPACE)
                 items = [np.unique(C.roll(w.hash[w.bounds[r] + w0[i + r] : w.bounds[r] + w1[i + r]], SHINGLE)) for r in range(j - i)]
-                at = np.concatenate([[0], np.cumsum([len(x) for x in items])]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(items).view(np.int64)))], ["id", "items"])
+                yield C.set_batch(batch.column(0).slice(i, j - i), items)
 
     return run
 
@@ -265,7 +264,7 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     often = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min_by("id", F.struct("n", "id")).alias("pivot")).filter("members > 1")
     busy = C.settle(rows.join(often, "bucket").select("bucket", "id", "n", "pivot"), "passage-buckets")
     wanted = classes.join(busy.select("id").distinct(), "id", "left_semi").select("id", F.col("at.doc_id").alias("doc_id"), F.col("at.w0").alias("w0"), F.col("at.w1").alias("w1"))
-    sets = wanted.join(docs, "doc_id").select("id", "w0", "w1", "text").mapInArrow(setter(), "id long, items array<long>")
+    sets = wanted.join(docs, "doc_id").select("id", "w0", "w1", "text").mapInArrow(setter(), C.SET_SCHEMA)
     sets = C.settle(sets, "passage-sets").dropDuplicates(["id"])
     comp = op3_minhash.linked(busy, sets, percent, name="passage").select(F.col("id").alias("print"), "comp")
     clustered = lines.drop("bands", "n").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp")

@@ -493,3 +493,21 @@ def test_licence_votes_survive_edits(spark):
 def test_levels_of_calls_with_several_references(spark):
     calls = spark.createDataFrame([("x", []), ("y", ["x"]), ("z", ["x", "y"]), ("w", ["z", "x"]), ("v", ["v", "x"])], "id string, refs array<string>")
     assert {r["id"]: r["level"] for r in op7_tools.levels(calls).collect()} == {"x": 0, "y": 1, "z": 2, "w": 3}
+
+
+def test_ids_with_two_texts_carry_the_links_of_both(spark):
+    a, b = " ".join(f"a{i}" for i in range(80)), " ".join(f"b{i}" for i in range(80))
+    docs = spark.createDataFrame([(5, a), (5, b), (5, ""), (7, b), (3, b + " zz"), (9, None), (None, a)], "doc_id long, text string")
+    got = sorted((r["doc_id"] or -1, r["n_shingles"], r["component_id"], r["kept"]) for r in op3_minhash.near_duplicates(docs).collect())
+    assert got == [(-1, 76, None, True), (3, 77, 3, True), (5, 0, 3, False), (5, 76, 3, False), (5, 76, 3, False), (7, 76, 3, False), (9, 0, 9, True)]
+
+
+def test_parity_bits_bound_the_difference():
+    import numpy as np
+
+    r = np.random.default_rng(1)
+    for size in (1, 40, 150, 3000):
+        x = r.integers(1, 2**63, size, dtype=np.uint64)
+        y = np.concatenate([x[size // 10 :], r.integers(1, 2**63, size // 8, dtype=np.uint64)])
+        differ = sum(bin(int(a ^ b) & (2**64 - 1)).count("1") for a, b in zip(C.parity_bits(x), C.parity_bits(y)))
+        assert differ <= len(set(x.tolist()) ^ set(y.tolist()))
