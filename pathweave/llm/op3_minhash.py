@@ -6,8 +6,8 @@ collision i of the first with collision j of the second: m * m tables. With t =
 tables, and a pair of similarity 0.85 is missed with probability 7e-5, at 0.9 with 5e-6.
 
 Texts with equal shingle sets form one class first; only a class goes on. Table keys are combined only from collisions
-that another class has too. Candidates are confirmed on full sets. In a table's bucket the smallest set is paired
-with each other member. What is then still in different components is paired across components: in full in buckets of
+that another class has too. Candidates are confirmed on full sets. Each set is
+paired with the smallest and the most frequent of the pivots (smallest members) of its buckets. What is then still in different components is paired across components: in full in buckets of
 a few members; the sets of larger mixed buckets go through a prefix filter, which is exact: two sets as similar as asked
 share one of the rarest items of each. Rows that no other row of their item can match go before they are paired, and pairs are made
 only where sizes, positions and the differing bits of two parity bitmaps allow the similarity, all of them
@@ -159,7 +159,10 @@ def _pruned(rare: DataFrame, percent: int) -> DataFrame:
 def linked(busy: DataFrame, sets: DataFrame, percent: int, small_bucket: int = SMALL_BUCKET, name: str = "near") -> DataFrame:
     """busy(bucket, id, n, pivot), sets(id, items, bits) -> (id, comp) of all ids that have a link."""
     bits = sets.select("id", *C.BITS)
-    stars = busy.filter("id <> pivot").select(F.least("pivot", "id").alias("a"), F.greatest("pivot", "id").alias("b")).distinct()
+    # Two pairs for each set, whatever the number of its buckets: the smallest of their pivots, and the most frequent one.
+    centres = busy.groupBy("id").agg(F.min("pivot").alias("least"), F.mode("pivot", True).alias("most"))
+    stars = centres.select("id", F.explode(F.array_distinct(F.array("least.id", "most.id"))).alias("pivot")).filter("id <> pivot")
+    stars = C.settle(stars.select(F.least("pivot", "id").alias("a"), F.greatest("pivot", "id").alias("b")).distinct(), f"{name}-stars")
     links = C.settle(_confirmed(stars, sets, percent), f"{name}-links")
     comp = C.components(links, f"{name}-one")
     placed = busy.join(comp, "id", "left").select("bucket", "id", "n", F.coalesce("comp", "id").alias("comp"), F.col("n").alias("after"))
@@ -186,8 +189,14 @@ def linked(busy: DataFrame, sets: DataFrame, percent: int, small_bucket: int = S
     return C.components(links, f"{name}-two")
 
 
+def shared_buckets(rows: DataFrame, name: str) -> DataFrame:
+    """rows(bucket, id, n) -> (bucket, id, n, pivot) of buckets with two members or more; pivot: n and id of the smallest."""
+    busy = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min(F.struct("n", "id")).alias("pivot")).filter("members > 1")
+    return C.settle(rows.join(busy, "bucket").select("bucket", "id", "n", "pivot"), f"{name}-buckets")
+
+
 def tables(classes: DataFrame, family: int, name: str = "near") -> DataFrame:
-    """classes(id, n, parts) -> (bucket, id, n, pivot) of buckets with two members or more.
+    """classes(id, n, parts) -> busy buckets.
 
     A bucket of table (i, j) can only be shared by sets that share collision i and collision j, so keys are combined from
     collisions that more than one set has: 2 * family rows for each set are shuffled, not family * family."""
@@ -197,8 +206,7 @@ def tables(classes: DataFrame, family: int, name: str = "near") -> DataFrame:
     own = lambda start: F.filter(F.slice("parts", start, family), lambda x: F.array_contains("live", x))
     keys = F.flatten(F.transform(own(1), lambda x: F.transform(own(family + 1), lambda y: F.xxhash64(x, y))))
     rows = C.settle(classes.join(live, "id").select("id", "n", F.explode(keys).alias("bucket")), f"{name}-keys")
-    busy = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min_by("id", F.struct("n", "id")).alias("pivot")).filter("members > 1")
-    return C.settle(rows.join(busy, "bucket").select("bucket", "id", "n", "pivot"), f"{name}-buckets")
+    return shared_buckets(rows, name)
 
 
 def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS, group: int = GROUP, family: int = FAMILY, small_bucket: int = SMALL_BUCKET) -> DataFrame:

@@ -260,9 +260,8 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     lines = pieces.filter("line")
     place = F.min(F.struct("doc_id", "w0", "w1"))
     classes = C.settle(lines.groupBy(F.col("print").alias("id")).agg(place.alias("at"), F.first("n").alias("n"), F.first("bands").alias("bands")), "passage-classes")
-    rows = classes.select("id", "n", F.posexplode("bands").alias("band", "bucket"))
-    often = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min_by("id", F.struct("n", "id")).alias("pivot")).filter("members > 1")
-    busy = C.settle(rows.join(often, "bucket").select("bucket", "id", "n", "pivot"), "passage-buckets")
+    rows = classes.select("id", "n", F.explode("bands").alias("bucket"))
+    busy = op3_minhash.shared_buckets(rows, "passage")
     wanted = classes.join(busy.select("id").distinct(), "id", "left_semi").select("id", F.col("at.doc_id").alias("doc_id"), F.col("at.w0").alias("w0"), F.col("at.w1").alias("w1"))
     sets = wanted.join(docs, "doc_id").select("id", "w0", "w1", "text").mapInArrow(setter(), C.SET_SCHEMA)
     sets = C.settle(sets, "passage-sets").dropDuplicates(["id"])
