@@ -18,18 +18,18 @@ def _compiled(pattern: str):
     return automaton.glushkov(regex.parse(pattern))
 
 
-def reach(g: PathGraph, pattern: str, start=None, max_length: int = 100) -> DataFrame:
+def reach(g: PathGraph, pattern: str, start=None) -> DataFrame:
     """Endpoints only, as engines over triples answer: keys to a fixed point, by set difference instead of an anti-join."""
     a = _compiled(pattern)
     adj, delta = product.adjacency(g, a), product.transitions(g.edges.sparkSession, a)
     seeds = g.nodes if start is None else g.nodes.filter(F.col("id") == F.lit(start))
     seen = settle(seeds.select(F.col("id").alias("start"), F.col("id").alias("node"), F.lit(a.initial).alias("state")), "baseline")
     frontier = seen
-    for _ in range(max_length):
+    while True:
         new = product.expand(frontier, delta, adj).select("start", F.col("next").alias("node"), F.col("to").alias("state")).exceptAll(seen).distinct()
         new = settle(new.join(seen, ["start", "node", "state"], "left_anti"), "baseline")
         if not new.limit(1).count():
-            break
+            break  # the fixed point
         seen, frontier = settle(seen.unionByName(new), "baseline"), new
     return seen.filter(F.col("state").isin(list(a.finals))).select("start", F.col("node").alias("end")).distinct()
 

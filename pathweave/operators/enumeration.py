@@ -59,7 +59,3 @@ def some_paths(answers: dict[int, DataFrame], pred: dict[int, DataFrame], limit:
             cur = settle(cur, "paths")
     return cur.select("start", "end", "length", "nodes", "eids")
 
-
-def trace(answers: dict[int, DataFrame], pred: dict[int, DataFrame], backward: bool, kinds: tuple[str, str]) -> DataFrame:
-    """One path for each answer, from predecessor tables of one row for each key."""
-    return all_paths(answers, pred, backward, kinds)

@@ -8,15 +8,20 @@ from __future__ import annotations
 
 import itertools
 import time
+import uuid
 from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql.pandas.types import to_arrow_type
 
 from pathweave.automaton import Automaton
 from pathweave.graph import PathGraph
 from pathweave.modes import PathMode
+from pathweave.operators import product
+from pathweave.operators.rounds import PathTimeout
 
 _HELD: dict = {}
 
@@ -36,10 +41,18 @@ class Search:
         self.moves: dict = defaultdict(list)
         for q, (label, inverse), r in a.delta:
             self.moves[q].append(((label, inverse ^ backward), r))
-        self.timeout_s, self.visited, self.pred_rows = timeout_s, 0, 0
+        self.visited, self.pred_rows = 0, 0
+        self.timeout_s, self.began, self.ticks = timeout_s, time.monotonic(), 0
 
     # -- steps ------------------------------------------------------------------
+    def check(self) -> None:
+        """The clock runs from when the search was made; it is looked at every so many steps, answers or not."""
+        if self.timeout_s is not None and self.ticks % 256 == 0 and time.monotonic() - self.began >= self.timeout_s:
+            raise PathTimeout(f"PathTimeout: more than {self.timeout_s} s")
+        self.ticks += 1
+
     def steps(self, node, state) -> Iterator[tuple]:
+        self.check()
         out = self.adj.out.get(node)
         if out:
             for sym, to in self.moves[state]:
@@ -348,30 +361,41 @@ class Search:
             found = self.by_level(start, mode.k)
         else:
             found = self.shortest_k(start, mode.k)
-        if self.timeout_s is not None:
-            end = time.monotonic() + self.timeout_s
-            found = itertools.takewhile(lambda _: time.monotonic() < end, found)
         return itertools.islice(found, self.limit)
 
 
-def rows_of(adj: DataFrame, most: int) -> list[tuple] | None:
-    """The edges, if there are at most so many; no more than that plus one ever reach the driver."""
-    t = adj.select("node", "label", "inverse", "next", "eid").limit(most + 1).toPandas()
-    return None if len(t) > most else list(t.itertuples(index=False, name=None))
+def rows_of(g: PathGraph, a: Automaton, most: int, backward: bool = False) -> Held | None:
+    """The live edges, if there are at most so many, broadcast once for a graph and its labels."""
+    adj = product.adjacency(g, a, backward)
+    key = ("held", tuple(sorted({(s[0], s[1] ^ backward) for _, s, _ in a.delta})))
+    if key not in g.kept:
+        n = adj.count()
+        if n > most:
+            return None
+        t = adj.select("node", "label", "inverse", "next", "eid").toPandas()
+        g.kept[key] = Held(uuid.uuid4().hex, n, g.edges.sparkSession.sparkContext.broadcast(list(t.itertuples(index=False, name=None))))
+    return g.kept[key] if g.kept[key].edges <= most else None
+
+
+@dataclass
+class Held:
+    """A broadcast graph; name tells it from others in a worker that is used again."""
+
+    name: str
+    edges: int
+    sent: object
 
 
-def run(g: PathGraph, a: Automaton, rows: list[tuple], seeds: DataFrame, mode: PathMode | None, order: str = "bfs", backward: bool = False, target=None, max_length: int | None = None, limit: int | None = None, timeout_s: float | None = None) -> DataFrame:
-    """start, end, length, nodes, eids for every start of seeds; mode None: start and end only."""
-    spark = g.edges.sparkSession
+def run(g: PathGraph, a: Automaton, held_edges: Held, seeds: DataFrame, mode: PathMode | None, order: str = "bfs", backward: bool = False, target=None, max_length: int | None = None, limit: int | None = None, timeout_s: float | None = None) -> DataFrame:
+    """start, end, length, nodes, eids for every start of seeds; mode None: start and end only. timeout_s: seconds that each task's
+    searches may take; beyond them the job fails with PathTimeout."""
     node, eid = g.nodes.schema["id"].dataType.simpleString(), g.edges.schema["eid"].dataType.simpleString()
-    sent = spark.sparkContext.broadcast(rows)
+    sent, key = held_edges.sent, held_edges.name
     whole = mode is not None
     schema = f"start {node}, end {node}" + f", length int, nodes array<{node}>, eids array<{eid}>" * whole
-    kinds = {"string": pa.string(), "bigint": pa.int64(), "int": pa.int32()}
-    n_type, e_type = kinds[node], kinds[eid]
+    n_type, e_type = (to_arrow_type(d.schema[c].dataType) for d, c in ((g.nodes, "id"), (g.edges, "eid")))
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key = sent.id if hasattr(sent, "id") else id(sent)
         if key not in _HELD:
             _HELD.clear()
             _HELD[key] = Adjacency(sent.value)

@@ -1,10 +1,12 @@
 """Searches as rounds of joins: each round takes one step of the product from the whole frontier, for all starts at once.
 
-Every round's tables are written to the shared folder; the driver reads their counts only. Visited keys are appended as they
-come and compacted now and then."""
+The adjacency is bucketed by node and move, the visited keys by (start, node, state), both in as many buckets as a shuffle has
+partitions: a round moves its frontier and its candidates only, and reads edges and visited keys where they lie. What a round
+adds is written once to the shared folder; the driver reads counts only."""
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Window
@@ -14,27 +16,13 @@ from pathweave.automaton import Automaton
 from pathweave.graph import PathGraph
 from pathweave.modes import PathMode
 from pathweave.operators import enumeration, product
-from pathweave.storage import settle
+from pathweave.storage import Levels, settle
 
 KEY = ["start", "node", "state"]
 
 
-class Log:
-    """An append-only table, compacted after every eighth part."""
-
-    def __init__(self, name: str, first: DataFrame | None = None):
-        self.name, self.parts = name, [] if first is None else [first]
-
-    def add(self, df: DataFrame) -> None:
-        self.parts.append(df)
-        if len(self.parts) > 8:
-            self.parts = [settle(self.all(), self.name)]
-
-    def all(self) -> DataFrame:
-        out = self.parts[0]
-        for p in self.parts[1:]:
-            out = out.unionByName(p)
-        return out
+class PathTimeout(RuntimeError):
+    """A search took longer than it was allowed to; its answers are not complete, so none are handed out."""
 
 
 @dataclass
@@ -47,13 +35,16 @@ class Rounds:
     target: object = None
     max_length: int | None = None
     limit: int | None = None
+    timeout_s: float | None = None
     metrics: dict = field(default_factory=lambda: {"rounds": 0, "visited_rows": 0, "pred_rows": 0, "peak_frontier": 0})
 
     def __post_init__(self):
         g = self.graph
         self.spark = g.edges.sparkSession
-        self.adj = product.adjacency(g, self.automaton, self.backward)
-        self.delta = product.transitions(self.spark, self.automaton, self.backward)
+        self.began = time.monotonic()
+        self.buckets = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        self.adj = product.stored(g, self.automaton, self.backward, self.buckets)
+        self.delta = self.adj.transitions(self.spark, self.automaton, self.backward)
         self.node, self.eid = g.nodes.schema["id"].dataType.simpleString(), g.edges.schema["eid"].dataType.simpleString()
 
     # -- shared -----------------------------------------------------------------
@@ -67,18 +58,27 @@ class Rounds:
 
     def step(self, frontier: DataFrame) -> DataFrame:
         """Path rows one edge on."""
-        e = product.expand(frontier, self.delta, self.adj)
+        e = self.adj.expand(frontier, self.delta)
         long = lambda a, x: product.lengthened(F.col(a), F.col(x), self.backward)
         return e.select("start", F.col("next").alias("node"), F.col("to").alias("state"), long("eids", "eid").alias("eids"), long("nodes", "next").alias("nodes"))
 
-    def counted(self, df: DataFrame, name: str) -> tuple[DataFrame, int]:
-        df = settle(df, name)
+    def levels(self, first: DataFrame, name: str, key: list[str]) -> tuple[Levels, DataFrame, int]:
+        table = Levels(first, name, key, self.buckets)
+        return table, *self.counted(table.at(0))
+
+    def counted(self, df: DataFrame) -> tuple[DataFrame, int]:
+        """A written frontier and its rows."""
         n = df.count()
         self.metrics["rounds"] += 1
         self.metrics["visited_rows"] += n
         self.metrics["peak_frontier"] = max(self.metrics["peak_frontier"], n)
+        self.check()
         return df, n
 
+    def check(self) -> None:
+        if self.timeout_s is not None and time.monotonic() - self.began >= self.timeout_s:
+            raise PathTimeout(f"more than {self.timeout_s} s")
+
     def ended(self, depth: int, n: int) -> bool:
         return n == 0 or self.max_length is not None and depth >= self.max_length
 
@@ -95,12 +95,11 @@ class Rounds:
     # -- endpoints --------------------------------------------------------------
     def endpoints(self) -> DataFrame:
         """(start, end): keys only, no paths."""
-        frontier, n = self.counted(self.first().select(*KEY), "reach")
-        seen, depth = Log("reach", frontier), 0
+        seen, frontier, n = self.levels(self.first().select(*KEY), "reach", KEY)
+        depth = 0
         while not self.ended(depth, n):
-            new = product.expand(frontier, self.delta, self.adj).select("start", F.col("next").alias("node"), F.col("to").alias("state")).distinct()
-            frontier, n = self.counted(new.join(seen.all(), KEY, "left_anti"), "reach")
-            seen.add(frontier)
+            new = self.adj.expand(frontier, self.delta).select("start", F.col("next").alias("node"), F.col("to").alias("state")).distinct()
+            frontier, n = self.counted(seen.add(new.join(seen.all(), KEY, "left_anti")))
             depth += 1
         ends = self.final(seen.all()).select("start", F.col("node").alias("end")).distinct()
         return ends.select(F.col("end").alias("start"), F.col("start").alias("end")) if self.backward else ends
@@ -113,14 +112,13 @@ class Rounds:
         names = settle(ranged.withColumn("at", at).select("start", F.concat_ws(":", "part", F.floor(F.col("at") / 64)).alias("block"), (F.col("at") % 64).cast("int").alias("bit")), "mask-names")
         key = ["block", "node", "state"]
         mask = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("bit"))
-        frontier, n = self.counted(names.select("block", F.col("start").alias("node"), F.lit(self.automaton.initial).alias("state"), mask.alias("mask")).groupBy(*key).agg(F.bit_or("mask").alias("mask")), "mask")
-        seen, depth = Log("mask", frontier), 0
+        seen, frontier, n = self.levels(names.select("block", F.col("start").alias("node"), F.lit(self.automaton.initial).alias("state"), mask.alias("mask")).groupBy(*key).agg(F.bit_or("mask").alias("mask")), "mask", key)
+        depth = 0
         while not self.ended(depth, n):
-            new = product.expand(frontier, self.delta, self.adj).groupBy("block", F.col("next").alias("node"), F.col("to").alias("state")).agg(F.bit_or("mask").alias("mask"))
+            new = self.adj.expand(frontier, self.delta).groupBy("block", F.col("next").alias("node"), F.col("to").alias("state")).agg(F.bit_or("mask").alias("mask"))
             old = seen.all().groupBy(*key).agg(F.bit_or("mask").alias("old"))
             fresh = new.join(old, key, "left").withColumn("mask", F.col("mask").bitwiseAND(F.bitwise_not(F.coalesce("old", F.lit(0).cast("long"))))).filter("mask <> 0").select(*key, "mask")
-            frontier, n = self.counted(fresh, "mask")
-            seen.add(frontier)
+            frontier, n = self.counted(seen.add(fresh))
             depth += 1
         ends = self.final(seen.all()).groupBy("block", "node").agg(F.bit_or("mask").alias("mask")).join(names, "block").filter(F.call_function("getbit", F.col("mask"), F.col("bit")) == 1)
         out = ends.select("start", F.col("node").alias("end"))
@@ -129,25 +127,22 @@ class Rounds:
     # -- walks ------------------------------------------------------------------
     def any_shortest(self) -> DataFrame:
         """One shortest walk for each pair, the one with the smallest edges: a key keeps its smallest path of its first round."""
-        frontier, n = self.counted(self.first(), "any")
-        seen, depth, answers = Log("any-keys", frontier.select(*KEY)), 0, None
+        seen, frontier, n = self.levels(self.first(), "any", KEY)
+        depth, answers, pair = 0, None, ["start", "node"]
         while True:
-            best = self.final(frontier).groupBy("start", "node").agg(F.min(F.struct("eids", "nodes")).alias("p")).select("start", "node", "p.eids", "p.nodes")
-            if answers is not None:
-                best = best.join(answers.all().select("start", "node"), ["start", "node"], "left_anti")
-                best = settle(best, "any-answers")
-                answers.add(best)
+            best = self.final(frontier).groupBy(*pair).agg(F.min(F.struct("eids", "nodes")).alias("p")).select(*pair, "p.eids", "p.nodes")
+            if answers is None:
+                answers = Levels(best, "any_answers", pair, self.buckets)
             else:
-                answers = Log("any-answers", settle(best, "any-answers"))
+                answers.add(best.join(answers.all().select(*pair), pair, "left_anti"))
             if self.ended(depth, n) or self.target is not None and self.limit is None and self._settled(answers):
                 break
             cand = self.step(frontier).groupBy(*KEY).agg(F.min(F.struct("eids", "nodes")).alias("p")).select(*KEY, "p.eids", "p.nodes")
-            frontier, n = self.counted(cand.join(seen.all(), KEY, "left_anti"), "any")
-            seen.add(frontier.select(*KEY))
+            frontier, n = self.counted(seen.add(cand.join(seen.all().select(*KEY), KEY, "left_anti")))
             depth += 1
         return self.out(answers.all())
 
-    def _settled(self, answers: Log) -> bool:
+    def _settled(self, answers: Levels) -> bool:
         """Both ends given and the answer is there: later rounds can add nothing."""
         return answers.all().limit(1).count() > 0 and self.seeds.limit(2).count() == 1
 
@@ -155,21 +150,24 @@ class Rounds:
         """Levels of product keys with all their predecessors: a key enters a level if it was in fewer than groups levels before.
         groups = 1 is the graph of all shortest walks."""
         cap = F.lit((self.limit or (1 << 40)) + 1).cast("long")
-        frontier, n = self.counted(self.first().select(*KEY, F.lit(1).cast("long").alias("cnt")), "all")
-        seen, depth, levels, pred = Log("all-keys", frontier.select(*KEY)), 0, {0: frontier}, {}
+        seen, frontier, n = self.levels(self.first().select(*KEY, F.lit(1).cast("long").alias("cnt")), "all", KEY)
+        depth, levels, pred, back = 0, {0: frontier}, {}, None
         while not self.ended(depth, n):
-            cand = product.expand(frontier, self.delta, self.adj).select("start", F.col("next").alias("node"), F.col("to").alias("state"), F.col("node").alias("p_node"), F.col("state").alias("p_state"), "eid", F.col("cnt").alias("p_cnt"))
+            cand = self.adj.expand(frontier, self.delta).select("start", F.col("next").alias("node"), F.col("to").alias("state"), F.col("node").alias("p_node"), F.col("state").alias("p_state"), "eid", F.col("cnt").alias("p_cnt"))
             if groups == 1:
-                cand = cand.join(seen.all(), KEY, "left_anti")
+                cand = cand.join(seen.all().select(*KEY), KEY, "left_anti")
             else:
                 full = seen.all().groupBy(*KEY).agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= groups)
                 cand = cand.join(full, KEY, "left_anti")
             depth += 1
-            pred[depth] = settle(cand, "all-pred")
+            if back is None:
+                back = Levels(cand, "all_pred", KEY, self.buckets)
+            else:
+                back.add(cand)
+            pred[depth] = back.at(depth - 1)
             self.metrics["pred_rows"] += pred[depth].count()
-            frontier, n = self.counted(pred[depth].groupBy(*KEY).agg(F.least(F.sum("p_cnt"), cap).alias("cnt")), "all")
+            frontier, n = self.counted(seen.add(pred[depth].groupBy(*KEY).agg(F.least(F.sum("p_cnt"), cap).alias("cnt"))))
             levels[depth] = frontier
-            seen.add(frontier.select(*KEY))
         return levels, pred
 
     def _by_level(self, groups: int) -> DataFrame:
@@ -202,79 +200,82 @@ class Rounds:
     def shortest_k(self, k: int) -> DataFrame:
         """k shortest walks for each pair, by (length, edges): a key passes on its k smallest paths of a round while it has had fewer
         than k in the rounds before; a prefix of one of the k best can always be one of the k best of its key."""
-        frontier, n = self.counted(self.first(), "k")
-        had = Log("k-had", frontier.groupBy(*KEY).agg(F.count(F.lit(1)).alias("had")))
-        answers, depth = None, 0
+        seen, frontier, n = self.levels(self.first(), "k", KEY)
+        answers, depth, pair = None, 0, ["start", "node"]
         while True:
-            found = self.final(frontier).select("start", "node", "eids", "nodes")
-            before = None if answers is None else answers.all().groupBy("start", "node").agg(F.count(F.lit(1)).alias("before"))
-            found = found.withColumn("before", F.lit(0)) if before is None else found.join(before, ["start", "node"], "left")
-            rank = F.row_number().over(Window.partitionBy("start", "node").orderBy("eids"))
-            found = settle(found.withColumn("r", rank).filter(F.col("r") <= k - F.coalesce("before", F.lit(0))).select("start", "node", "eids", "nodes"), "k-answers")
+            found = self.final(frontier).select(*pair, "eids", "nodes")
+            before = None if answers is None else answers.all().groupBy(*pair).agg(F.count(F.lit(1)).alias("before"))
+            found = found.withColumn("before", F.lit(0)) if before is None else found.join(before, pair, "left")
+            rank = F.row_number().over(Window.partitionBy(*pair).orderBy("eids"))
+            found = found.withColumn("r", rank).filter(F.col("r") <= k - F.coalesce("before", F.lit(0))).select(*pair, "eids", "nodes")
             if answers is None:
-                answers = Log("k-answers", found)
+                answers = Levels(found, "k_answers", pair, self.buckets)
             else:
                 answers.add(found)
             if self.ended(depth, n):
                 break
-            total = had.all().groupBy(*KEY).agg(F.sum("had").alias("had"))
+            total = seen.all().groupBy(*KEY).agg(F.count(F.lit(1)).alias("had"))
             cand = self.step(frontier).join(total, KEY, "left").filter(F.coalesce("had", F.lit(0)) < k)
             rank = F.row_number().over(Window.partitionBy(*KEY).orderBy("eids"))
             cand = cand.withColumn("r", rank).filter(F.col("r") <= k - F.coalesce("had", F.lit(0))).select(*KEY, "eids", "nodes")
-            frontier, n = self.counted(cand, "k")
-            had.add(frontier.groupBy(*KEY).agg(F.count(F.lit(1)).alias("had")))
+            frontier, n = self.counted(seen.add(cand))
             depth += 1
         return self.out(answers.all())
 
     # -- trails, simple and acyclic paths ---------------------------------------
-    def alive(self) -> DataFrame:
-        """(node, state) from which a final state can be reached: the dead-end filter, found by one search from the ends."""
-        spark, a = self.spark, self.automaton
-        finals = spark.createDataFrame([(q,) for q in sorted(a.finals)], "state int")
-        ends = self.graph.nodes if self.target is None else self.graph.nodes.filter(F.col("id") == F.lit(self.target).cast(self.node))
-        frontier = settle(ends.select(F.col("id").alias("node")).distinct().join(F.broadcast(finals)), "alive")
-        seen, n = Log("alive", frontier), frontier.count()
-        back = self.delta.select(F.col("to").alias("state"), "label", "inverse", F.col("state").alias("from"))
+    def alive(self) -> DataFrame | None:
+        """(node, state) from which a final state can be reached, of those that the starts reach: the dead-end filter. Both searches
+        keep to what the starts reach, so a query from one start looks at its own part of the graph only. None where the
+        filter can't pay: an expression of bounded length without a given end has as many rounds as the filter itself."""
+        if self.target is None and self.automaton.is_acyclic():
+            return None
+        key, depth = ["node", "state"], 0
+        reached, frontier, n = self.levels(self.first().select(*key).distinct(), "reached", key)
+        while not self.ended(depth, n):
+            new = self.adj.expand(frontier, self.delta).select(F.col("next").alias("node"), F.col("to").alias("state")).distinct()
+            frontier, n = self.counted(reached.add(new.join(reached.all(), key, "left_anti")))
+            depth += 1
+        alive, frontier, n = self.levels(self.final(reached.all()), "alive", key)
         while n:
-            prev = frontier.join(F.broadcast(back), "state").join(self.adj.select(F.col("next").alias("node"), "label", "inverse", F.col("node").alias("prev")), ["node", "label", "inverse"])
-            new = prev.select(F.col("prev").alias("node"), F.col("from").alias("state")).distinct().join(seen.all(), ["node", "state"], "left_anti")
-            frontier = settle(new, "alive")
-            n = frontier.count()
-            seen.add(frontier)
-        return settle(seen.all(), "alive")
-
-    def restricted(self, mode: PathMode, prune: bool = True) -> DataFrame:
+            new = self.adj.back(frontier, self.delta).select(F.col("prev").alias("node"), F.col("from").alias("state")).distinct()
+            new = new.join(reached.all(), key, "left_semi").join(alive.all(), key, "left_anti")
+            frontier, n = self.counted(alive.add(new))
+        return alive.all()
+
+    def extended(self, frontier: DataFrame, restrictor: str, alive: DataFrame | None) -> DataFrame:
+        """Path rows one edge on, as far as the restrictor allows and answers can be reached."""
+        e = self.adj.expand(frontier, self.delta).filter(product.valid(restrictor))
+        long = lambda a, x: product.lengthened(F.col(a), F.col(x), self.backward)
+        cand = e.select("start", F.col("next").alias("node"), F.col("to").alias("state"), long("eids", "eid").alias("eids"), long("nodes", "next").alias("nodes"))
+        cand = cand if alive is None else cand.join(alive, ["node", "state"], "left_semi")
+        return cand.select(*KEY, "eids", "nodes")
+
+    def restricted(self, mode: PathMode) -> DataFrame:
         """Paths of a restrictor: rows carry their edges and nodes, invalid extensions and dead ends are dropped each round."""
-        alive = self.alive() if prune else None
+        alive = self.alive()
         start = self.first()
         if alive is not None:
             start = start.join(alive, ["node", "state"], "left_semi")
-        frontier, n = self.counted(start, "restricted")
-        answers, depth, found_n = None, 0, 0
+        frontier, n = self.counted(settle(start.select(*KEY, "eids", "nodes"), "restricted"))
+        answers, depth, found_n, pair = None, 0, 0, ["start", "node"]
         while True:
-            found = self.final(frontier).select("start", "node", "eids", "nodes")
-            found = settle(self._selected(found, answers, mode), "restricted-answers")
+            found = self._selected(self.final(frontier).select(*pair, "eids", "nodes"), answers, mode)
             if answers is None:
-                answers = Log("restricted-answers", found)
+                answers = Levels(found, "restricted_answers", pair, self.buckets)
             else:
                 answers.add(found)
             if self.limit is not None:
-                found_n += found.count()
+                found_n += answers.at(answers.depth).count()
                 if found_n >= self.limit:
                     break
             if self.ended(depth, n):
                 break
-            e = product.expand(frontier, self.delta, self.adj).filter(product.valid(mode.restrictor))
-            long = lambda a, x: product.lengthened(F.col(a), F.col(x), self.backward)
-            cand = e.select("start", F.col("next").alias("node"), F.col("to").alias("state"), long("eids", "eid").alias("eids"), long("nodes", "next").alias("nodes"))
-            if alive is not None:
-                cand = cand.join(alive, ["node", "state"], "left_semi")
-            frontier, n = self.counted(cand.select(*KEY, "eids", "nodes"), "restricted")
+            frontier, n = self.counted(settle(self.extended(frontier, mode.restrictor, alive), "restricted"))
             depth += 1
         out = self.out(answers.all())
         return out if self.limit is None else out.limit(self.limit)
 
-    def _selected(self, found: DataFrame, answers: Log | None, mode: PathMode) -> DataFrame:
+    def _selected(self, found: DataFrame, answers: Levels | None, mode: PathMode) -> DataFrame:
         """Of this round's answers those that the selector takes."""
         pair = ["start", "node"]
         if mode.selector == "ALL":

@@ -10,36 +10,33 @@ from pyspark.sql import functions as F
 from pathweave.automaton import Automaton
 from pathweave.graph import PathGraph
 from pathweave.modes import PathMode
-from pathweave.operators import product
-from pathweave.operators.rounds import KEY, Log, Rounds
-from pathweave.storage import settle
+from pathweave.operators.rounds import KEY, Rounds
+from pathweave.storage import Levels, settle
 
 CHUNK = 200_000
 
 
-def run(g: PathGraph, a: Automaton, seeds: DataFrame, mode: PathMode, backward: bool = False, target=None, max_length: int | None = None, limit: int | None = None, chunk: int = CHUNK) -> DataFrame:
+def run(g: PathGraph, a: Automaton, seeds: DataFrame, mode: PathMode, backward: bool = False, target=None, max_length: int | None = None, limit: int | None = None, chunk: int = CHUNK, timeout_s: float | None = None) -> DataFrame:
     """Paths of a restrictor under no selector, ANY or ANY k, in no particular order."""
-    r = Rounds(g, a, seeds, backward, target, max_length, limit)
-    alive = r.alive()
-    stack = [(0, settle(r.first().join(alive, ["node", "state"], "left_semi").select(*KEY, "eids", "nodes"), "wave"))]
-    answers, total = None, 0
+    r = Rounds(g, a, seeds, backward, target, max_length, limit, timeout_s)
+    alive, first = r.alive(), r.first().select(*KEY, "eids", "nodes")
+    stack = [(0, settle(first if alive is None else first.join(alive, ["node", "state"], "left_semi").select(*KEY, "eids", "nodes"), "wave"))]
+    answers, total, pair = None, 0, ["start", "node"]
     while stack:
+        r.check()
         depth, frontier = stack.pop()
-        found = settle(r._selected(r.final(frontier).select("start", "node", "eids", "nodes"), answers, mode), "wave-answers")
-        n = found.count()
+        found = r._selected(r.final(frontier).select(*pair, "eids", "nodes"), answers, mode)
         if answers is None:
-            answers = Log("wave-answers", found)
-        elif n:
+            answers = Levels(found, "wave_answers", pair, r.buckets)
+        else:
             answers.add(found)
-        total += n
-        if limit is not None and total >= limit:
-            break
+        if limit is not None:
+            total += answers.at(answers.depth).count()
+            if total >= limit:
+                break
         if max_length is not None and depth >= max_length:
             continue
-        e = product.expand(frontier, r.delta, r.adj).filter(product.valid(mode.restrictor))
-        long = lambda x, y: product.lengthened(F.col(x), F.col(y), backward)
-        nxt = e.select("start", F.col("next").alias("node"), F.col("to").alias("state"), long("eids", "eid").alias("eids"), long("nodes", "next").alias("nodes")).join(alive, ["node", "state"], "left_semi").select(*KEY, "eids", "nodes")
-        nxt = settle(nxt, "wave")
+        nxt = settle(r.extended(frontier, mode.restrictor, alive), "wave")
         rows = nxt.count()
         parts = -(-rows // chunk)
         for i in range(parts):

@@ -71,17 +71,20 @@ def run(g: PathGraph, q: PathQuery, strategy: str = "auto", order: str | None =
             a = a.unambiguous()
     first, target = (q.end, None) if backward else (q.start if starts is None else starts, q.end)
     adj = product.adjacency(g, a, backward)
-    rows = local.rows_of(adj, local_edges) if strategy in ("auto", "local") else None
+    rows = local.rows_of(g, a, local_edges, backward) if strategy in ("auto", "local") else None
     if strategy == "local" and rows is None:
         raise GraphError(f"more than {local_edges} live edges: too many for local search")
     chosen = "rounds" if rows is None else "local"
-    plan = PathPlan(q, a, backward, chosen, order_of(q.mode, q.limit, order), None if rows is None else len(rows))
+    by = order_of(q.mode, q.limit, order)
+    if rows is None and q.mode is not None and q.mode.restrictor == "WALK":
+        by = "bfs"  # rounds find a shortest walk, which is a walk
+    plan = PathPlan(q, a, backward, chosen, by, None if rows is None else rows.edges)
     start = seeds.resolve(g, a, adj, first, backward)
     if rows is not None:
         out = local.run(g, a, rows, start, q.mode, plan.order, backward, target, q.max_length, q.limit, q.timeout_s)
-        return Result(out, plan, {"live_edges": float(len(rows))})
+        return Result(out, plan, {"live_edges": float(rows.edges)})
     if q.mode is not None and plan.order == "dfs" and q.mode.restrictor != "WALK":
-        return Result(waves.run(g, a, start, q.mode, backward, target, q.max_length, q.limit), plan, {})
-    r = rounds.Rounds(g, a, start, backward, target, q.max_length, q.limit)
+        return Result(waves.run(g, a, start, q.mode, backward, target, q.max_length, q.limit, timeout_s=q.timeout_s), plan, {})
+    r = rounds.Rounds(g, a, start, backward, target, q.max_length, q.limit, q.timeout_s)
     out = r.endpoints() if q.mode is None else r.run(q.mode)
     return Result(out if q.limit is None or q.mode is not None else out.limit(q.limit), plan, r.metrics)

@@ -1,8 +1,8 @@
 """Path queries inside SQL: path_query('graph', 'query') stands for a table.
 
 A table function of Python can't run jobs, so the call is answered before the text is parsed: its result becomes a view and the
-call its name. Conditions on start, end and length that stand right after the call, as path_query(...) WHERE start = ..., are moved into
-the search."""
+call its name. Conditions on start, end and length that stand right after the call, as FROM path_query(...) t WHERE t.start = ..., are
+moved into the search."""
 
 from __future__ import annotations
 
@@ -16,7 +16,12 @@ from pathweave.plans import planner
 from pathweave.query import parse
 
 _CALL = re.compile(r"path_query\s*\(\s*'(?P<graph>[^']+)'\s*,\s*'(?P<text>(?:[^']|'')+)'\s*\)", re.I)
-_WHERE = re.compile(r"\bWHERE\b(?P<where>.*?)(?:\bGROUP\b|\bORDER\b|\bLIMIT\b|$)", re.I | re.S)
+#: What may follow a call for its conditions to be moved: an alias, then WHERE, up to the next clause or the end of the SELECT.
+_WHERE = re.compile(
+    r"\s*(?:(?:AS\s+)?(?P<alias>(?!WHERE\b)[A-Za-z_]\w*)\s+)?WHERE\b(?P<where>.*?)"
+    r"(?=\b(?:GROUP|ORDER|SORT|CLUSTER|DISTRIBUTE|HAVING|WINDOW|LIMIT|OFFSET|UNION|EXCEPT|MINUS|INTERSECT|LATERAL)\b|;|$)", re.I | re.S,
+)
+_NOT_PLAIN = re.compile(r"[()]|\b(?:OR|NOT|BETWEEN|CASE|SELECT|IN)\b", re.I)
 
 
 class Engine:
@@ -28,10 +33,9 @@ class Engine:
         return self
 
     def sql(self, text: str, **how) -> DataFrame:
-        calls = list(_CALL.finditer(text))
-        pushed = self._pushed(text) if len(calls) == 1 and " JOIN " not in text.upper() and " OR " not in text.upper() else {}
         out, at = [], 0
-        for m in calls:
+        for m in _CALL.finditer(text):
+            pushed = self._pushed(text[: m.start()], text[m.end() :])
             q = parse(m["text"].replace("''", "'"))
             if q.start is None and "start" in pushed:
                 q = replace(q, start=pushed["start"])
@@ -47,13 +51,21 @@ class Engine:
         return self.spark.sql("".join([*out, text[at:]]))
 
     @staticmethod
-    def _pushed(text: str) -> dict:
-        """start = constant, end = constant and length <= number among the conditions joined by AND; they stay in the text too."""
-        m = _WHERE.search(_CALL.sub("", text))
+    def _pushed(before: str, after: str) -> dict:
+        """start = constant, end = constant and length <= number among the conditions of a WHERE that belongs to the call alone: the call is
+        all that its FROM has, and the conditions are joined by AND. They stay in the text too; others are left to Catalyst."""
+        m = _WHERE.match(after)
+        if not m or not re.search(r"\bFROM\s*$", before, re.I):
+            return {}
+        # Up to the parenthesis that closes a subselect.
+        where = re.split(r"\)", m["where"])[0] if m["where"].count(")") > m["where"].count("(") else m["where"]
+        if _NOT_PLAIN.search(re.sub(r"'[^']*'", "''", where)):
+            return {}
         found: dict = {}
-        for part in re.split(r"\bAND\b", m["where"], flags=re.I) if m else []:
-            if c := re.fullmatch(r"\s*`?(start|end)`?\s*=\s*(?:'([^']*)'|(-?\d+))\s*", part, re.I):
+        name = rf"(?:{re.escape(m['alias'])}\.)?" if m["alias"] else ""
+        for part in re.split(r"\bAND\b", where, flags=re.I):
+            if c := re.fullmatch(rf"\s*{name}`?(start|end)`?\s*=\s*(?:'([^']*)'|(-?\d+))\s*", part, re.I):
                 found[c[1].lower()] = c[2] if c[2] is not None else int(c[3])
-            elif c := re.fullmatch(r"\s*`?length`?\s*(<=|<)\s*(\d+)\s*", part, re.I):
+            elif c := re.fullmatch(rf"\s*{name}`?length`?\s*(<=|<)\s*(\d+)\s*", part, re.I):
                 found["length"] = int(c[2]) - (c[1] == "<")
         return found

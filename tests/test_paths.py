@@ -123,13 +123,107 @@ def test_depth_first_answers(seed):
         assert {x[:2] for x in table.run(nodes, PathMode("ANY", "WALK"), pattern, None, "dfs")} == ends
 
 
-def test_rounds_against_the_definition(spark):
+@pytest.fixture
+def two_partitions(spark):
+    spark.conf.set("spark.sql.shuffle.partitions", "2")
+    yield
+    spark.conf.set("spark.sql.shuffle.partitions", "4")
+
+
+def as_graph(spark, rows, nodes):
+    return PathGraph.of(spark.createDataFrame(rows, "src long, label string, dst long, eid long"), spark.createDataFrame([(n,) for n in nodes], "id long")).cached()
+
+
+@pytest.fixture(scope="module")
+def small(spark):
     rows, nodes = small_graph(3)
-    g = PathGraph.of(spark.createDataFrame(rows, "src long, label string, dst long, eid long"), spark.createDataFrame([(n,) for n in nodes], "id long")).cached()
-    for text, pattern in (("SHORTEST 3 WALK", "a{0,3}"), ("SHORTEST 2 GROUPS WALK", "(a|b){1,3}"), ("ALL SHORTEST SIMPLE", "(a|b)+"), ("ANY 2 TRAIL", "a*/b*")):
-        mode = parse_mode(text)
-        want = baselines.by_definition(rows, nodes, mode, pattern, 9 if mode.restrictor != "WALK" else 4)
-        assert found(engine.paths(g, text, pattern, strategy="rounds")) == want, text
+    return rows, nodes, as_graph(spark, rows, nodes)
+
+
+@pytest.mark.parametrize("base", ALL_MODES, ids=str)
+def test_rounds_against_the_definition(small, two_partitions, base):
+    rows, nodes, g = small
+    mode = PathMode(base.selector, base.restrictor, 2 if "K" in base.selector.split() else 1)
+    pattern = "(a|b){0,2}" if mode.restrictor == "WALK" else "a*/b*"
+    want = baselines.by_definition(rows, nodes, mode, pattern, 9 if mode.restrictor != "WALK" else 2)
+    assert found(engine.paths(g, str(mode), pattern, strategy="rounds")) == want
+
+
+@pytest.mark.parametrize("text", ["ANY SHORTEST WALK", "SHORTEST 2 WALK", "ALL SHORTEST WALK", "TRAIL", "SHORTEST 2 GROUPS ACYCLIC"])
+def test_rounds_with_ends_and_limits(spark, two_partitions, text):
+    rows, nodes = small_graph(9)
+    g, mode, pattern = as_graph(spark, rows, nodes), parse_mode(text), "(a|b){0,3}"
+    every = baselines.by_definition(rows, nodes, mode, pattern, 3)
+    s, t = sorted(every, key=lambda x: -x[2])[0][:2]
+    assert found(engine.paths(g, text, pattern, s, t, strategy="rounds")) == {x for x in every if x[:2] == (s, t)}
+    back = engine.paths(g, text, pattern, end=t, strategy="rounds")
+    assert back.plan.backward and found(back) == {x for x in every if x[1] == t}
+    some = found(engine.paths(g, text, pattern, limit=3, strategy="rounds"))
+    assert some <= every and len(some) == min(3, len(every))
+
+
+@pytest.mark.parametrize("text", ["TRAIL", "ANY SIMPLE", "ANY 2 ACYCLIC"])
+def test_waves_against_the_definition(small, two_partitions, text):
+    rows, nodes, g = small
+    mode = parse_mode(text)
+    every = baselines.by_definition(rows, nodes, PathMode("ALL", mode.restrictor), "a*/b*", 9)
+    got = found(engine.paths(g, text, "a*/b*", strategy="rounds", order="dfs"))
+    pairs = lambda x: {k: min(len(list(v)), {"ALL": 99, "ANY": 1, "ANY K": mode.k}[mode.selector]) for k, v in itertools.groupby(sorted(x), key=lambda y: y[:2])}
+    assert got <= every and pairs(got) == pairs(every)
+
+
+def test_hubs_are_dealt_over_buckets(spark, monkeypatch):
+    rows = [(0, "a", i, i) for i in range(1, 3001)] + [(i, "a", 3001, 3000 + i) for i in range(1, 21)]
+    g = as_graph(spark, rows, range(3002))
+    a = glushkov(regex.parse("a/a"))
+    kept = product.stored(g, a)
+    assert {r["node"] for r in kept.hubs.collect()} == {0} and kept.edges.select("salt").distinct().count() > 1
+    assert engine.paths(g, "TRAIL", "a/a", 0, strategy="rounds").df.count() == 20
+    assert engine.endpoints(g, "a{1,2}", 0, strategy="rounds").df.count() == 3001
+
+
+def test_a_round_moves_neither_edges_nor_visited_keys(spark, small):
+    _, _, g = small
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        a = glushkov(regex.parse("a*/b*"))
+        r = rounds.Rounds(g, a, seeds.resolve(g, a, product.adjacency(g, a), None))
+        seen, frontier, _ = r.levels(r.first().select(*rounds.KEY), "reach", rounds.KEY)
+        new = r.adj.expand(frontier, r.delta).select("start", F.col("next").alias("node"), F.col("to").alias("state")).distinct()
+        plan = new.join(seen.all(), rounds.KEY, "left_anti")._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    # The frontier goes to the edges, and candidates to the visited keys; nothing else is dealt anew.
+    assert plan.count("SortMergeJoin") == 2 and plan.count("Exchange hashpartitioning") == 2 and plan.count("Bucketed: true") >= 2
+
+
+@pytest.mark.parametrize("how", [{"strategy": "local"}, {"strategy": "rounds"}, {"strategy": "rounds", "order": "dfs"}])
+def test_time_outs_are_never_silent(small, how):
+    _, _, g = small
+    with pytest.raises(Exception, match="PathTimeout|more than 0 s"):
+        engine.paths(g, "TRAIL" if "order" in how else "ANY SHORTEST WALK", "a{0,3}", timeout_s=0, **how).df.collect()
+    got = metrics.timed(g.edges.sparkSession, lambda: engine.paths(g, "TRAIL", "a{0,3}", timeout_s=0, **how).df)
+    assert got["timed_out"] and got["rows"] is None
+
+
+def test_a_search_without_answers_looks_at_the_clock():
+    ring = [(i, "a", (i + d) % 40, 40 * d + i) for i in range(40) for d in (1, 2, 3)]
+    adj = local.Adjacency([(s, label, False, d, e) for s, label, d, e in ring])
+    with pytest.raises(rounds.PathTimeout):
+        list(local.Search(adj, glushkov(regex.parse("a{90}")), target=0, timeout_s=0.2).paths(0, PathMode("ALL", "TRAIL"), "dfs"))
+
+
+def test_other_types_of_ids_and_other_graphs_in_the_same_worker(spark):
+    one = PathGraph.of(spark.createDataFrame([(1.5, "a", 2.5, 1)], "src double, label string, dst double, eid int"))
+    two = PathGraph.of(spark.createDataFrame([(1.5, "a", 3.5, 1)], "src double, label string, dst double, eid int"))
+    for _ in range(3):
+        for g, end in ((one, 2.5), (two, 3.5)):
+            assert {(r["start"], r["end"]) for r in engine.paths(g, "ANY WALK", "a").df.collect()} == {(1.5, end)}
+
+
+def test_reach_has_no_bound_on_rounds(spark, two_partitions):
+    g = as_graph(spark, [(i, "a", i + 1, i) for i in range(12)], range(13))
+    assert baselines.reach(g, "a*", 0).count() == 13
 
 
 @pytest.mark.parametrize("strategy", ["local", "rounds"])
@@ -261,6 +355,23 @@ def test_path_functions(spark):
     assert j["c"] == [1, 2, 3] and j["r"] == [2, 1]
 
 
+def test_conditions_of_other_selects_stay_where_they_are(spark, ex):
+    e = Engine(spark).register("g", ex)
+    spark.createDataFrame([("Joe",), ("Joe",), ("Ann",)], "start string").createOrReplaceTempView("people")
+    call = "path_query('g', 'ANY SHORTEST WALK (?x) -[follows*/works]-> (?y)')"
+    n = engine.paths(ex, "ANY SHORTEST WALK", "follows*/works").df.count()
+    joe = engine.paths(ex, "ANY SHORTEST WALK", "follows*/works", "Joe").df.count()
+    assert n > joe > 0
+    both = e.sql(f"SELECT count(*) AS c FROM people WHERE start = 'Joe' GROUP BY start UNION ALL SELECT count(*) FROM {call}").collect()
+    assert sorted(r["c"] for r in both) == sorted([2, n])
+    assert e.sql(f"SELECT count(*) AS c FROM {call} t, people p WHERE p.start = 'Joe'").first()["c"] == 2 * n
+    assert e.sql(f"WITH w AS (SELECT * FROM {call}) SELECT count(*) AS c FROM w, people WHERE people.start = 'Ann'").first()["c"] == n
+    assert e.sql(f"SELECT count(*) AS c FROM {call} WHERE start = 'Joe' OR start = 'John'").first()["c"] == sum(engine.paths(ex, "ANY SHORTEST WALK", "follows*/works", x).df.count() for x in ("Joe", "John"))
+    assert e.sql(f"SELECT count(*) AS c FROM (SELECT * FROM {call} AS t WHERE t.start = 'Joe') UNION ALL SELECT count(*) FROM {call}").collect()[1]["c"] == n
+    assert Engine._pushed("SELECT * FROM ", " t WHERE t.start = 'Joe' AND length < 3 ORDER BY 1") == {"start": "Joe", "length": 2}
+    assert Engine._pushed("SELECT * FROM a, ", " WHERE start = 'Joe'") == {} and Engine._pushed("SELECT * FROM ", " WHERE start = 'Joe' OR length < 2") == {}
+
+
 def test_results(spark, ex):
     r = engine.paths(ex, "TRAIL", "follows*/works", "Joe")
     assert P.unnest_path(r.df).count() == sum(x["length"] for x in r.df.collect())
