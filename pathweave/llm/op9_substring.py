@@ -16,7 +16,10 @@ removed piece goes, whatever else holds it; pieces are cut at each other's borde
 and one first document (the smallest of the pieces that gave the verdict).
 
 Defined cases: null and empty texts have no paragraphs; repeated rows (and documents with the same id) are one document,
-so they do not repeat each other; a null doc_id takes no part; a paragraph of fewer words takes no part.
+so they do not repeat each other; a null doc_id takes no part; an empty table gives no rows; other columns are ignored.
+
+Limits: a paragraph of fewer than MIN_WORDS words takes no part; a near copy (not an exact one) of a passage that is pasted
+into longer lines is found as far as its equal runs reach, 28 words at least and surely from 50 on.
 """
 
 from __future__ import annotations
@@ -34,6 +37,7 @@ from pathweave.llm import op3_minhash
 MIN_WORDS, WINDOW, NEAR, GRAM = 28, 28, 20, 3
 SHINGLE, BAND, BANDS, PERCENT = 5, 2, 8, 80
 PLACE = ["w0", "w1", "c0", "c1", "before", "after"]
+PIECE = ["row", "key", "doc_id", "line", "print", *PLACE, "n", "bands"]
 _P = np.uint64(0xD6E8FEB86659FD93)
 _INV = np.uint64(pow(0xD6E8FEB86659FD93, -1, 1 << 64))
 
@@ -74,7 +78,7 @@ def paragraphs(s: np.ndarray, e: np.ndarray, line: np.ndarray, row: np.ndarray)
 
 
 def cutter():
-    """mapInArrow function: row, doc_id, text, key -> paragraphs and windows."""
+    """mapInArrow function: row, doc_id, text, key -> paragraphs, and windows with their first word only."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rnd = np.random.default_rng(17)
@@ -98,7 +102,6 @@ def cutter():
                 s = np.flatnonzero(new)
                 e = np.append(s[1:], len(w.start))
                 s, e = paragraphs(s, e, line, w.row)
-                parts = []
                 total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(w.hash * _pow(_P, len(w.hash)))])
                 inv = _pow(_INV, len(w.hash) + 1)
                 whole = lambda s, e: C.mix((total[e] - total[s]) * inv[s] + (e - s).astype(np.uint64) * C._C2)
@@ -116,18 +119,18 @@ def cutter():
                         h = C.mix(h * np.uint64(31) + least[:, k::BAND])
                     distinct = np.array([len(np.unique(g[x : y - SHINGLE + 1])) for x, y in zip(s, e)])
                     bands = pa.ListArray.from_arrays(pa.array(np.arange(0, h.size + 1, BANDS, dtype=np.int32)), pa.array(h.reshape(-1).view(np.int64)))
-                    parts.append((np.ones(len(s), bool), s, e, distinct, bands))
+                    at = pa.array(i + w.row[s])
+                    yield pa.RecordBatch.from_arrays(
+                        [batch.column(0).take(at), batch.column(3).take(at), ids.take(at), pa.array(np.ones(len(s), bool)), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(c0[s]), pa.array(c1[e - 1]), pa.array(before[s]), pa.array(after[e - 1]), pa.array(distinct), bands],
+                        PIECE,
+                    )
                 p = anchors(w)
                 p = p[p + WINDOW <= len(w.row)]
                 p = p[w.row[p] == w.row[p + WINDOW - 1]]
                 if len(p):
-                    parts.append((np.zeros(len(p), bool), p, p + WINDOW, np.zeros(len(p), np.int64), pa.array([None] * len(p), pa.list_(pa.int64()))))
-                for is_line, s, e, distinct, bands in parts:
-                    at = pa.array(i + w.row[s])
-                    yield pa.RecordBatch.from_arrays(
-                        [batch.column(0).take(at), batch.column(3).take(at), ids.take(at), pa.array(is_line), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(c0[s]), pa.array(c1[e - 1]), pa.array(before[s]), pa.array(after[e - 1]), pa.array(distinct), bands],
-                        ["row", "key", "doc_id", "line", "print", "w0", "w1", "c0", "c1", "before", "after", "n", "bands"],
-                    )
+                    at = pa.array(i + w.row[p])
+                    none = [pa.nulls(len(p), pa.int64())] * 6
+                    yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(3).take(at), ids.take(at), pa.array(np.zeros(len(p), bool)), pa.array(whole(p, p + WINDOW).view(np.int64)), pa.array(p - w.bounds[w.row[p]]), *none, pa.nulls(len(p), pa.list_(pa.int64()))], PIECE)
 
     return run
 
@@ -221,9 +224,10 @@ def looker(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _extended(docs: DataFrame, hit: DataFrame) -> DataFrame:
-    """The windows to remove as spans, each extended against its first occurrence, and those first occurrences as far."""
+    """hit(row, key, doc_id, w0, first, gone), windows that repeat -> the windows to remove as spans, each extended against its first
+    occurrence, and those first occurrences as far; a first occurrence of whatever is removed stays."""
     first = [F.col(f"first.{c}").alias(f"f_{c}") for c in ("doc_id", "row", "key")]
-    gone = hit.filter("gone and not line").select("row", "key", "doc_id", "w0", "w1", *first, (F.col("w0") - F.col("first.w0")).alias("shift"))
+    gone = hit.filter("gone").select("row", "key", "doc_id", "w0", (F.col("w0") + WINDOW).alias("w1"), *first, (F.col("w0") - F.col("first.w0")).alias("shift"))
     same = ["row", "key", "doc_id", "f_row", "f_key", "f_doc_id", "shift"]
     by = Window.partitionBy(*same).orderBy("w0")
     fresh = F.when(F.col("w0") <= F.max("w1").over(by.rowsBetween(Window.unboundedPreceding, -1)), 0).otherwise(1)
@@ -251,28 +255,40 @@ def _extended(docs: DataFrame, hit: DataFrame) -> DataFrame:
     return own.unionByName(kept.select("row", "doc_id", *PLACE, F.col("doc_id").alias("first_doc"), F.lit(False).alias("gone")))
 
 
+def _repeats(rows: DataFrame, key: str, name: str) -> DataFrame:
+    """rows(key, row, doc_id, w0, ...) of keys in two documents or more, with the key's first place, and whether it is another.
+
+    Which keys repeat is found from ids alone; only rows of such keys are looked at again. The table of first places is written
+    before it is joined, so that the adaptive planner may split a key that holds most rows."""
+    often = rows.groupBy(key).agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).filter("low < high").select(key)
+    hit = C.settle(rows.join(C.settle(often, f"{name}-often"), key), f"{name}-repeats")
+    first = C.settle(hit.groupBy(key).agg(F.min(F.struct("doc_id", "w0", "row")).alias("first")), f"{name}-first")
+    return hit.join(first, key).withColumn("gone", (F.col("doc_id") != F.col("first.doc_id")) | (F.col("w0") != F.col("first.w0")))
+
+
 def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """docs(doc_id long, text) -> doc_id, start, end (code points), n_words, first_doc, removed: a row for each
     passage of a document that occurs in another document too, with one verdict and one first document."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("key", F.xxhash64("text"))
     schema = "row long, key long, doc_id long, line boolean, print long, w0 long, w1 long, c0 long, c1 long, before long, after long, n long, bands array<long>"
-    pieces = C.settle(docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", "key").mapInArrow(cutter(), schema), "passage-pieces")
+    pieces = C.settle(docs.filter("doc_id is not null").select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", "key").mapInArrow(cutter(), schema), "passage-pieces")
     lines = pieces.filter("line")
-    place = F.min(F.struct("doc_id", "w0", "w1"))
+    place = F.min(F.struct("doc_id", "w0", "w1", "key"))
     classes = C.settle(lines.groupBy(F.col("print").alias("id")).agg(place.alias("at"), F.first("n").alias("n"), F.first("bands").alias("bands")), "passage-classes")
     rows = classes.select("id", "n", F.explode("bands").alias("bucket"))
     busy = op3_minhash.shared_buckets(rows, "passage")
-    wanted = classes.join(busy.select("id").distinct(), "id", "left_semi").select("id", F.col("at.doc_id").alias("doc_id"), F.col("at.w0").alias("w0"), F.col("at.w1").alias("w1"))
-    sets = wanted.join(docs, "doc_id").select("id", "w0", "w1", "text").mapInArrow(setter(), C.SET_SCHEMA)
+    wanted = classes.join(busy.select("id").distinct(), "id", "left_semi").select("id", F.col("at.doc_id").alias("doc_id"), F.col("at.key").alias("key"), F.col("at.w0").alias("w0"), F.col("at.w1").alias("w1"))
+    sets = wanted.join(docs, ["doc_id", "key"]).select("id", "w0", "w1", "text").mapInArrow(setter(), C.SET_SCHEMA)
     sets = C.settle(sets, "passage-sets").dropDuplicates(["id"])
     comp = op3_minhash.linked(busy, sets, percent, name="passage").select(F.col("id").alias("print"), "comp")
-    clustered = lines.drop("bands", "n").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp")
-    clustered = C.settle(clustered.select("row", "key", "doc_id", "line", *PLACE, "cluster"), "passage-lines")
-    every = clustered.unionByName(pieces.filter("not line").select("row", "key", "doc_id", "line", *PLACE, F.col("print").alias("cluster")))
-    spread = every.groupBy("line", "cluster").agg(F.min(F.struct("doc_id", "w0", "row", "key")).alias("first"), F.max("doc_id").alias("last")).filter(F.col("first.doc_id") < F.col("last"))
-    hit = every.join(spread, ["line", "cluster"]).withColumn("gone", (F.col("doc_id") != F.col("first.doc_id")) | (F.col("w0") != F.col("first.w0")))
-    hit = C.settle(hit.select("row", "key", "doc_id", "line", *PLACE, "first", "gone"), "passage-hits")
-    whole = hit.filter("line or not gone").select("row", "doc_id", *PLACE, F.col("first.doc_id").alias("first_doc"), "gone")
-    pieces = whole.unionByName(_extended(docs, hit))
+    clustered = lines.drop("bands", "n", "key", "line").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp", "print")
+    hits = _repeats(C.settle(clustered, "passage-lines"), "cluster", "passage-lines")
+    whole = hits.select("row", "doc_id", *PLACE, F.col("first.doc_id").alias("first_doc"), "gone")
+    windows = _repeats(pieces.filter("not line").select("print", "row", "doc_id", "w0"), "print", "passage-windows")
+    # Only windows that repeat meet their texts again.
+    keys = C.settle(pieces.select("row", "key").distinct(), "passage-keys")
+    windows = windows.join(keys, "row").join(keys.select(F.col("row").alias("f_row"), F.col("key").alias("f_key")), F.col("first.row") == F.col("f_row"))
+    windows = windows.select("row", "key", "doc_id", "w0", F.struct("first.doc_id", "first.w0", "first.row", F.col("f_key").alias("key")).alias("first"), "gone")
+    pieces = whole.unionByName(_extended(docs, C.settle(windows, "passage-hits")))
     schema = "doc_id long, start long, end long, n_words long, first_doc long, removed boolean"
     return pieces.repartition("row").sortWithinPartitions("row").mapInArrow(painter, schema)
