@@ -2,7 +2,7 @@
 
 Every run of k words of a text is hashed and joined with the template positions that hold the same run. A hit votes for
 the diagonal text position - template position; neighbouring diagonals (a word more or less) are merged, and the
-merged diagonal's span is verified: enough of the template's runs are hit, and hits are dense within the span.
+merged diagonal's span is verified: enough of the template's positions are hit, and they are dense within the span.
 
 The templates are a fixed list of short notices (under 1,000 runs), broadcast whatever the corpus; texts without any
 hit are dropped before their runs become rows, and votes are aggregated by text, template and diagonal before a shuffle.
@@ -31,6 +31,9 @@ TEMPLATES = (
     ("apache-2", "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License. You may obtain a copy of the License at"),
     ("apache-2", "Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License."),
     ("bsd", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
+    ("bsd", "THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED."),
+    ("mit", "THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT."),
+    ("isc", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."),
     ("cc-by", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
     ("cc-by-nc", "Licensed under CC BY-NC 4.0."),
     ("cc-by-nc", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
@@ -93,20 +96,22 @@ def votes(rows: DataFrame, grams: DataFrame, near: int = NEAR, k: int = K) -> Da
     """rows(row, runs) -> row, label, score, start and end word, of verified spans."""
     hits = rows.select("row", F.posexplode("runs").alias("pos", "run")).join(F.broadcast(grams), "run")
     diagonal = hits.groupBy("row", "template", "label", "size", (F.col("pos") - F.col("at")).alias("diagonal")).agg(
-        F.count(F.lit(1)).alias("votes"), F.min("pos").alias("lo"), F.max("pos").alias("hi"), F.min("at").alias("t_lo"), F.max("at").alias("t_hi")
+        F.count(F.lit(1)).alias("votes"), F.min("pos").alias("lo"), F.max("pos").alias("hi"), F.bitmap_construct_agg(F.bitmap_bit_position(F.col("at") + 1)).alias("at")
     )
     by = Window.partitionBy("row", "template").orderBy("diagonal")
     fresh = F.coalesce((F.col("diagonal") - F.lag("diagonal").over(by) > near).cast("int"), F.lit(1))
     merged = diagonal.withColumn("fresh", fresh).withColumn("band", F.sum("fresh").over(by))
-    span = merged.groupBy("row", "template", "label", "size", "band").agg(F.sum("votes").alias("votes"), F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    cover = F.least(F.lit(1.0), F.col("votes") / F.col("size"))
-    dense = F.col("votes") / (F.col("hi") - F.col("lo") + 1)
+    # A template position counts once, however many of the merged diagonals hit it.
+    span = merged.groupBy("row", "template", "label", "size", "band").agg(F.bitmap_count(F.bitmap_or_agg("at")).alias("places"), F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    cover = F.col("places") / F.col("size")
+    dense = F.col("places") / (F.col("hi") - F.col("lo") + 1)
     ok = span.withColumn("score", cover).filter((cover >= MIN_COVER) & (dense >= MIN_DENSE))
     return ok.select("row", "label", "score", F.col("lo").alias("start"), (F.col("hi") + k).alias("end"))
 
 
 def scan(docs: DataFrame, k: int = K) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, spans."""
+    """docs(doc_id, text) -> doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, vote_score, spans. score: 1 where a phrase
+    stands, else the votes' (the share of the best template that was found); vote_score: the votes' own."""
     spark = docs.sparkSession
     grams = templates(spark, k=k)
     known = F.array(*[F.lit(r["run"]) for r in grams.select("run").distinct().orderBy("run").collect()])
@@ -123,5 +128,6 @@ def scan(docs: DataFrame, k: int = K) -> DataFrame:
     return out.select(
         "doc_id", "n_words", "n_base", "first_word", "last_word",
         F.array_join(F.array_sort("base_set"), ",").alias("base_labels"), F.array_join(every, ",").alias("labels"),
-        F.when(F.size("base_set") > 0, F.lit(1.0)).otherwise(F.coalesce("best", F.lit(0.0))).alias("score"), "spans",
+        F.when(F.size("base_set") > 0, F.lit(1.0)).otherwise(F.coalesce("best", F.lit(0.0))).alias("score"),
+        F.coalesce("best", F.lit(0.0)).alias("vote_score"), "spans",
     )

@@ -6,7 +6,8 @@ by blanks; a document's words joined by blanks are scanned once. A hit's end giv
 offsets in the original text.
 
 The windows go to the executors as a broadcast list of a checked size (BLOCK_BYTES); a larger benchmark is cut into
-blocks of that size, each scanned in turn, and their hits meet in one aggregation by document.
+blocks of that size. A task takes some megabytes of texts at a time and scans them with one block's automaton after the other, so an
+automaton is made at most once for so many texts; their hits meet in one row for each document.
 
 Defined cases: a null text has no words; an item without words has no windows and can't occur; repeated items of equal
 text all occur; null item_ids occur in no list; documents without a hit are returned with zeros and the digest of "".
@@ -68,39 +69,59 @@ def scanner(parts: list):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            autos = None if len(parts) > HELD else [_automaton(*p) for p in parts]
-            col, n_words, runs, spans, items = batch.column(1), [], [], [], []
-            for text in col:
-                text = text.as_buffer() if text.is_valid else None
-                w = bytes(text).translate(_SEPARATE).split() if text is not None else []
-                n_words.append(len(w))
-                found, at = set(), []
-                line = " " + b" ".join(w).decode("latin-1") + " "
-                for auto in autos or (_automaton(*p) for p in parts) if w else ():
-                    if len(auto):
-                        for end, (size, who) in auto.iter(line):
-                            at.append((end, size))
-                            found.update(who)
-                if not at:
-                    runs.append([]), spans.append([]), items.append([])
-                    continue
-                blanks = np.flatnonzero(np.frombuffer(line.encode("latin-1"), np.uint8) == 32)
-                hit = np.zeros(len(w) + 1, np.int64)
-                for end, size in at:
-                    last = int(np.searchsorted(blanks, end))  # words before this blank
-                    hit[last - size] += 1
-                    hit[last] -= 1
-                mask = np.cumsum(hit[:-1]) > 0
-                edge = np.flatnonzero(np.diff(np.concatenate([[0], mask.astype(np.int8), [0]])))
-                pairs = [(int(a), int(b)) for a, b in zip(edge[::2], edge[1::2])]
-                places = [m.span() for m in _WORD.finditer(bytes(text).decode("utf-8", "replace").translate(_FOLD))]
-                runs.append([x for p in pairs for x in p])
-                spans.append([x for a, b in pairs for x in (places[a][0], places[b - 1][1])])
-                items.append(sorted(x for x in found if x is not None))
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(n_words, pa.int64()), pa.array(runs, pa.list_(pa.int64())), pa.array(spans, pa.list_(pa.int64())), pa.array(items, pa.list_(pa.string()))],
-                ["doc_id", "n_words", "runs", "spans", "items"],
-            )
+            for text in held(batch.column(1)):
+                yield scanned(batch.column(0).slice(text[0], len(text[1])), text[1])
+
+    def held(col: pa.Array, most: int = 32 << 20) -> Iterator[tuple[int, list]]:
+        """Runs of rows of about so many bytes of text: first row, texts."""
+        start, texts, size = 0, [], 0
+        for r, text in enumerate(col):
+            texts.append(bytes(text.as_buffer()) if text.is_valid else None)
+            size += len(texts[-1] or b"")
+            if size >= most:
+                yield start, texts
+                start, texts, size = r + 1, [], 0
+        if texts:
+            yield start, texts
+
+    def scanned(ids: pa.Array, texts: list) -> pa.RecordBatch:
+        n_words, lines = [], []
+        for text in texts:
+            w = text.translate(_SEPARATE).split() if text is not None else []
+            n_words.append(len(w))
+            lines.append(" " + b" ".join(w).decode("latin-1") + " " if w else "")
+        found, at = [set() for _ in texts], [[] for _ in texts]
+        # Every block's automaton meets all of these texts before the next one does.
+        for part in parts:
+            auto = _automaton(*part)
+            if not len(auto):
+                continue
+            for r, line in enumerate(lines):
+                for end, (size, who) in auto.iter(line) if line else ():
+                    at[r].append((end, size))
+                    found[r].update(who)
+        runs, spans, items = [], [], []
+        for text, line, hits, who, n in zip(texts, lines, at, found, n_words):
+            if not hits:
+                runs.append([]), spans.append([]), items.append([])
+                continue
+            blanks = np.flatnonzero(np.frombuffer(line.encode("latin-1"), np.uint8) == 32)
+            hit = np.zeros(n + 1, np.int64)
+            for end, size in hits:
+                last = int(np.searchsorted(blanks, end))  # words before this blank
+                hit[last - size] += 1
+                hit[last] -= 1
+            mask = np.cumsum(hit[:-1]) > 0
+            edge = np.flatnonzero(np.diff(np.concatenate([[0], mask.astype(np.int8), [0]])))
+            pairs = [(int(a), int(b)) for a, b in zip(edge[::2], edge[1::2])]
+            places = [m.span() for m in _WORD.finditer(text.decode("utf-8", "replace").translate(_FOLD))]
+            runs.append([x for p in pairs for x in p])
+            spans.append([x for a, b in pairs for x in (places[a][0], places[b - 1][1])])
+            items.append(sorted(x for x in who if x is not None))
+        return pa.RecordBatch.from_arrays(
+            [ids, pa.array(n_words, pa.int64()), pa.array(runs, pa.list_(pa.int64())), pa.array(spans, pa.list_(pa.int64())), pa.array(items, pa.list_(pa.string()))],
+            ["doc_id", "n_words", "runs", "spans", "items"],
+        )
 
     return run
 
@@ -146,9 +167,10 @@ def clean(docs: DataFrame, bench: DataFrame, size: int = WINDOW, block_bytes: in
         scanned = scanner(parts)
         for batch in batches:
             at = [batch.schema.get_field_index(c) for c in ("doc_id", "text")]
-            found = next(scanned(iter([pa.RecordBatch.from_arrays([batch.column(i) for i in at], ["doc_id", "text"])])))
-            hit = [sum(r[1::2]) - sum(r[::2]) for r in found.column(2).to_pylist()]
-            keep = [not (h > 0 and 20 * h >= n) for h, n in zip(hit, found.column(1).to_pylist())]
+            keep: list[bool] = []
+            for found in scanned(iter([pa.RecordBatch.from_arrays([batch.column(i) for i in at], ["doc_id", "text"])])):
+                hit = [sum(r[1::2]) - sum(r[::2]) for r in found.column(2).to_pylist()]
+                keep += [not (h > 0 and 20 * h >= n) for h, n in zip(hit, found.column(1).to_pylist())]
             yield batch.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -3,16 +3,22 @@
 Labelled outcomes of pages (bad or not) are summed by host, registered domain and suffix. The overall rate is the prior
 mean of a suffix, a suffix's posterior mean that of its domains, a domain's that of its hosts; how strongly each level
 leans on the one above is a beta-binomial prior size fitted by moments over that level. A host is blocked if
-the lower bound of its posterior bad rate is above the limit; a host without labels has its domain's posterior, and so on up.
+the lower bound of its posterior bad rate (the 5 % quantile of the beta distribution) is above the limit; a host without labels has its domain's posterior, and so on up.
 
 Only counts by host are shuffled; a hot host is one row after the map-side sum. Hosts meet pages in an adaptive join.
 
 Defined cases: a null url or one without "://" has empty host and path, fits no rule and takes the overall prior; pages
-without labels count nowhere; with no labels at all nothing is blocked by reputation; repeated rows stay rows.
+without labels count nowhere; with no labels at all nothing is blocked by reputation; repeated rows stay rows; a
+page with several labels is bad if one of them is; empty tables give no rows; other columns are ignored.
 """
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -20,7 +26,7 @@ from pathweave.llm import common as C
 
 #: The rules, as verdict and host with path.
 RULES = (("allow", "org/"), ("block", "example.org/es/"), ("block", "example.org/en/1"), ("allow", "com/fr/"), ("block", "com/de/"))
-LIMIT, BOUND_Z, LEAST_SIZE, MOST_SIZE = 0.5, 1.6448536269514722, 2.0, 200.0
+LIMIT, BOUND_SHARE, LEAST_SIZE, MOST_SIZE = 0.5, 0.05, 2.0, 200.0
 
 
 def host_of(url: Column) -> Column:
@@ -41,13 +47,29 @@ def rule_of(host: Column, path: Column, rules=RULES) -> tuple[Column, Column]:
     return rule, verdict
 
 
-def domain_of(host: Column) -> Column:
-    """The registered domain: the last two labels (the whole of a shorter host)."""
-    return F.substring_index(host, ".", -2)
+#: Labels that stand before a country's own label as part of the public suffix (as in co.uk).
+SECOND_LEVEL = ("ac", "co", "com", "edu", "gob", "gov", "gouv", "mil", "ne", "net", "nom", "or", "org", "sch")
+
+
+def name_of(host: Column) -> Column:
+    """The host's name without user and port; addresses (only digits and dots, or in brackets) stay whole."""
+    return F.regexp_replace(F.regexp_replace(host, r"^.*@", ""), r":[0-9]*$", "")
 
 
 def suffix_of(host: Column) -> Column:
-    return F.substring_index(host, ".", -1)
+    """The public suffix: the last label, or the last two where a country's label follows one of SECOND_LEVEL. Addresses are
+    their own suffix."""
+    name = name_of(host)
+    two = F.rlike(name, F.lit(r"(^|\.)(" + "|".join(SECOND_LEVEL) + r")\.[a-z]{2}$"))
+    address = F.rlike(name, F.lit(r"^([0-9.]+|\[.*\])$"))
+    return F.when(address, name).when(two, F.substring_index(name, ".", -2)).otherwise(F.substring_index(name, ".", -1))
+
+
+def domain_of(host: Column) -> Column:
+    """The registered domain: the suffix and the label before it (the whole of a shorter name)."""
+    name, suffix = name_of(host), suffix_of(host)
+    labels = F.size(F.split(suffix, r"\."))
+    return F.when(name == suffix, name).when(labels == 2, F.substring_index(name, ".", -3)).otherwise(F.substring_index(name, ".", -2))
 
 
 def _level(counts: DataFrame, key: str, up: DataFrame, up_key: str) -> DataFrame:
@@ -71,10 +93,48 @@ def _level(counts: DataFrame, key: str, up: DataFrame, up_key: str) -> DataFrame
     return own.withColumn("a", a).withColumn("b", b).withColumn("mean", a / (a + b))
 
 
-def lower_bound(a: Column, b: Column) -> Column:
-    """Lower bound of a beta posterior, by its mean and deviation."""
-    mean = a / (a + b)
-    return F.greatest(F.lit(0.0), mean - BOUND_Z * F.sqrt(mean * (1 - mean) / (a + b + 1)))
+def incomplete_beta(x: np.ndarray, a: np.ndarray, b: np.ndarray, log_beta: np.ndarray) -> np.ndarray:
+    """The beta distribution's share below x, by the continued fraction, from the side where it converges fast."""
+    flip = x > (a + 1) / (a + b + 2)
+    x, a, b = np.where(flip, 1 - x, x), np.where(flip, b, a), np.where(flip, a, b)
+    with np.errstate(divide="ignore"):
+        front = np.exp(a * np.log(x) + b * np.log1p(-x) - log_beta) / a
+    tiny = 1e-300
+    f, c, d = np.ones_like(x), np.ones_like(x), np.zeros_like(x)
+    for i in range(200):
+        m = i // 2
+        if i == 0:
+            term = np.ones_like(x)
+        elif i % 2 == 0:
+            term = m * (b - m) * x / ((a + 2 * m - 1) * (a + 2 * m))
+        else:
+            term = -(a + m) * (a + b + m) * x / ((a + 2 * m) * (a + 2 * m + 1))
+        d = 1 / np.where(np.abs(1 + term * d) < tiny, tiny, 1 + term * d)
+        c = 1 + term / np.where(np.abs(c) < tiny, tiny, c)
+        f *= c * d
+        if np.all(np.abs(1 - c * d) < 1e-12):
+            break
+    share = front * (f - 1)
+    return np.where(flip, 1 - share, share)
+
+
+def beta_quantile(a: np.ndarray, b: np.ndarray, share: float = BOUND_SHARE) -> np.ndarray:
+    """x below which a share of the beta distribution lies, by bisection."""
+    a, b = np.asarray(a, np.float64), np.asarray(b, np.float64)
+    log_beta = np.array([math.lgamma(p) + math.lgamma(q) - math.lgamma(p + q) for p, q in zip(a, b)])
+    low, high = np.zeros_like(a), np.ones_like(a)
+    for _ in range(50):
+        mid = (low + high) / 2
+        below = incomplete_beta(mid, a, b, log_beta) < share
+        low, high = np.where(below, mid, low), np.where(below, high, mid)
+    return (low + high) / 2
+
+
+def bounded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """mapInArrow function: kind, name, a, b, n -> with the lower bound of the posterior."""
+    for batch in batches:
+        bound = beta_quantile(batch.column(2).to_numpy(), batch.column(3).to_numpy()) if batch.num_rows else np.zeros(0)
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(bound)], [*batch.schema.names, "bound"])
 
 
 def reputations(hosts: DataFrame, labels: DataFrame) -> DataFrame:
@@ -93,12 +153,15 @@ def reputations(hosts: DataFrame, labels: DataFrame) -> DataFrame:
 def filtered(pages: DataFrame, labels: DataFrame, rules=RULES, limit: float = LIMIT) -> DataFrame:
     """pages(page_id, url), labels(page_id, bad) -> page_id, host, path, rule, verdict, bound."""
     read = pages.select("page_id", host_of(F.col("url").cast("string")).alias("host"), path_of(F.col("url").cast("string")).alias("path"))
-    known = C.settle(reputations(read, labels).withColumn("bound", lower_bound(F.col("a"), F.col("b"))), "hosts-known")
+    known = reputations(read, labels).select("kind", "name", F.col("a").cast("double").alias("a"), F.col("b").cast("double").alias("b"), F.col("n").cast("long").alias("n"))
+    known = C.settle(known.mapInArrow(bounded, "kind string, name string, a double, b double, n long, bound double"), "hosts-known")
     of = lambda kind, name: known.filter(F.col("kind") == kind).select(F.col("name").alias(name), F.col("bound").alias(f"{kind}_bound"))
     # Bounds are found for the distinct hosts, then joined to pages once.
     hosts = read.select("host").distinct().withColumn("domain", domain_of(F.col("host"))).withColumn("suffix", suffix_of(F.col("host"))).withColumn("all", F.lit("*"))
     hosts = hosts.join(of("host", "host"), "host", "left").join(of("domain", "domain"), "domain", "left").join(of("suffix", "suffix"), "suffix", "left").join(of("all", "all"), "all", "left")
     hosts = hosts.select("host", F.coalesce("host_bound", "domain_bound", "suffix_bound", "all_bound", F.lit(0.0)).alias("bound"))
+    # Written first: what is joined then is two plain tables, whose hot hosts the adaptive planner may split.
+    hosts = C.settle(hosts, "hosts-bounds")
     rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
     out = read.join(hosts, "host")
     return out.select("page_id", "host", "path", rule.alias("rule"), F.coalesce(verdict, F.when(F.col("bound") > limit, F.lit("block")).otherwise(F.lit("allow"))).alias("verdict"), F.round("bound", 9).alias("bound"))

@@ -48,9 +48,9 @@ def valid(name: Column, arguments: Column, schemas=SCHEMAS) -> Column:
 
 def levels(calls: DataFrame) -> DataFrame:
     """calls(id, refs array<string>) -> id, level: 0 without known references, else one above the highest."""
-    nodes = calls.filter("id is not null").groupBy("id").agg(F.flatten(F.collect_list("refs")).alias("refs"))
-    nodes = C.settle(nodes, "tools-nodes")
-    edges = nodes.select("id", F.explode(F.array_distinct("refs")).alias("ref")).join(nodes.select(F.col("id").alias("ref")), "ref", "left_semi")
+    calls = calls.filter("id is not null").select("id", "refs")
+    nodes = C.settle(calls.select("id").distinct(), "tools-nodes")
+    edges = calls.select("id", F.explode("refs").alias("ref")).distinct().join(nodes.select(F.col("id").alias("ref")), "ref", "left_semi")
     edges = C.settle(edges, "tools-edges")
     if edges.groupBy("id").count().filter("count > 1").limit(1).count() == 0:
         return _chain_levels(nodes, edges)
@@ -63,7 +63,7 @@ def levels(calls: DataFrame) -> DataFrame:
         ready = C.settle(ready, "tools-ready")
         if ready.limit(1).count() == 0:
             break
-        done = done.union(ready)
+        done = C.settle(done.union(ready), "tools-done")
         left = C.settle(left.join(ready.select("id"), "id", "left_anti"), "tools-left")
     return done
 
@@ -87,7 +87,7 @@ def linked(calls: DataFrame, results: DataFrame, schemas=SCHEMAS) -> DataFrame:
     calls = calls.select("id", "conv_id", "turn", "name", "arguments", "refs")
     placed = calls.join(levels(calls.select("id", "refs")), "id", "left").withColumn("level", F.when(F.col("id").isNull(), F.lit(0).cast("long")).otherwise(F.col("level")))
     r = results.select(F.col("id").alias("r_id"), F.col("conv_id").alias("r_conv"), F.col("turn").alias("r_turn"), F.col("content"))
-    pairs = placed.join(r.hint("shuffle_hash"), placed["id"] == r["r_id"], "left")
+    pairs = placed.join(r, placed["id"] == r["r_id"], "left")
     args = F.to_json(F.try_parse_json("arguments"))
     body = F.concat(
         F.lit('{"arguments":'), F.coalesce(args, F.lit("null")), F.lit(',"id":'), _quoted(F.col("id")), F.lit(',"name":'), _quoted(F.col("name")),

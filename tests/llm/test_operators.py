@@ -511,3 +511,63 @@ def test_parity_bits_bound_the_difference():
         y = np.concatenate([x[size // 10 :], r.integers(1, 2**63, size // 8, dtype=np.uint64)])
         differ = sum(bin(int(a ^ b) & (2**64 - 1)).count("1") for a, b in zip(C.parity_bits(x), C.parity_bits(y)))
         assert differ <= len(set(x.tolist()) ^ set(y.tolist()))
+
+
+@pytest.mark.parametrize("block_bytes", [200, 1 << 24])
+def test_many_blocks_give_what_one_gives(spark, block_bytes):
+    """More blocks than a worker holds, each made once for a batch of texts."""
+    bench = spark.createDataFrame([(f"b{i}", " ".join(f"w{i}x{j}" for j in range(20))) for i in range(12)], "item_id string, text string")
+    docs = spark.createDataFrame([(i, " ".join(f"w{i % 14}x{j}" for j in range(3, 18)) + " more words") for i in range(400)] + [(400, None), (401, "")], "doc_id long, text string")
+    got = {r["doc_id"]: (r["n_words"], r["n_hit"], r["n_items"]) for r in op1_decontaminate.report(op1_decontaminate.scan(docs, bench, block_bytes=block_bytes)).collect()}
+    assert got == {**{i: (17, 15 if i % 14 < 12 else 0, int(i % 14 < 12)) for i in range(400)}, 400: (0, 0, 0), 401: (0, 0, 0)}
+
+
+def test_beta_quantiles():
+    import numpy as np
+
+    a, b = np.array([1.0, 2.0, 0.5, 30.0, 3.0]), np.array([1.0, 1.0, 0.5, 70.0, 200.0])
+    x = op5_hosts.beta_quantile(a, b)
+    # Closed forms: x, x^2, the arcsine law.
+    assert np.allclose(x[:3], [0.05, 0.05**0.5, np.sin(np.pi * 0.05 / 2) ** 2], atol=1e-9)
+    r = np.random.default_rng(3)
+    for i in (3, 4):
+        assert abs((r.beta(a[i], b[i], 400_000) < x[i]).mean() - 0.05) < 0.002
+
+
+def test_host_reputation_against_the_formulas(spark):
+    import numpy as np
+
+    names = ["a.x.co.uk", "b.x.co.uk", "y.co.uk", "user@z.net:80", "10.0.0.1", "q.net", "lone"]
+    got = spark.createDataFrame([(n,) for n in names], "h string").select("h", op5_hosts.domain_of(F.col("h")).alias("d"), op5_hosts.suffix_of(F.col("h")).alias("s")).collect()
+    assert [(r["d"], r["s"]) for r in got] == [("x.co.uk", "co.uk"), ("x.co.uk", "co.uk"), ("y.co.uk", "co.uk"), ("z.net", "net"), ("10.0.0.1", "10.0.0.1"), ("q.net", "net"), ("lone", "lone")]
+    bad = {"bad.net": 1.0, "good.net": 0.0, "mixed.net": 0.5}
+    pages = [(i, f"http://{h}/{i}") for i, h in enumerate(h for h in bad for _ in range(40))] + [(200, "http://new.bad.net/"), (201, None), (202, "nothing")]
+    labels = [(i, int((i % 40) < 40 * bad[p[1].split("/")[2]])) for i, p in enumerate(pages[:120])]
+    out = {r["page_id"]: r for r in op5_hosts.filtered(spark.createDataFrame(pages, "page_id long, url string").withColumn("host", F.lit("clash")), spark.createDataFrame(labels, "page_id long, bad int")).collect()}
+    assert out[0]["verdict"] == "block" and out[200]["verdict"] == "block" and out[50]["verdict"] == "allow" and out[100]["verdict"] == "allow" and out[201]["verdict"] == "allow" and out[202]["host"] == ""
+
+    def fitted(n, y, prior):
+        s, c, p = ((y - n * prior) ** 2).sum(), (n * prior * (1 - prior)).sum(), (n * (n - 1) * prior * (1 - prior)).sum()
+        rho = (s - c) / p if p > 0 and s > c else 0.0
+        return round(max(2.0, min(200.0, 1 / rho - 1 if rho > 0 else 200.0)), 6)
+
+    all_mean = (60 + 1) / (120 + 2)
+    n, y = np.array([120.0]), np.array([60.0])
+    size = fitted(n, y, all_mean)
+    suffix = (all_mean * size + 60) / (size + 120)
+    n, y = np.array([40.0] * 3), np.array([40.0, 0.0, 20.0])
+    size = fitted(n, y, suffix)
+    domain = (suffix * size + y) / (size + n)
+    size2 = round(max(2.0, min(200.0, (lambda s, c, p: 1 / ((s - c) / p) - 1 if p > 0 and s > c else 200.0)(((y - n * domain) ** 2).sum(), (n * domain * (1 - domain)).sum(), (n * (n - 1) * domain * (1 - domain)).sum()))), 6)
+    want = op5_hosts.beta_quantile(domain * size2 + y, (1 - domain) * size2 + n - y)
+    assert np.allclose([out[0]["bound"], out[40]["bound"], out[80]["bound"]], want, atol=1e-6)
+    none = op5_hosts.filtered(spark.createDataFrame([], "page_id long, url string"), spark.createDataFrame([], "page_id long, bad int"))
+    assert none.count() == 0
+
+
+def test_a_template_position_counts_once(spark):
+    """Hits of one part of a template, again and again, are no cover of the whole."""
+    notice = "permission is hereby granted free of charge"
+    docs = spark.createDataFrame([(1, " ".join([notice] * 40)), (2, op10_license.TEMPLATES[1][1]), (3, "x " + op10_license.TEMPLATES[1][1].replace("without limitation", "with no limit")), (None, notice), (4, None)], "doc_id long, text string")
+    got = {r["doc_id"]: (r["labels"], r["vote_score"]) for r in op10_license.scan(docs).collect()}
+    assert got[1] == ("", 0.0) and got[2] == ("mit", 1.0) and got[3][0] == "mit" and 0.6 <= got[3][1] < 1 and got[4] == ("", 0.0) and got[None] == ("", 0.0)
