@@ -36,8 +36,7 @@ from pathweave.llm import op3_minhash
 
 MIN_WORDS, WINDOW, NEAR, GRAM = 28, 28, 20, 3
 SHINGLE, BAND, BANDS, PERCENT = 5, 2, 8, 80
-PLACE = ["w0", "w1", "c0", "c1", "before", "after"]
-PIECE = ["row", "key", "doc_id", "line", "print", *PLACE, "n", "bands"]
+PIECE = ["doc_id", "key", "line", "print", "w0", "w1", "n", "bands"]
 _P = np.uint64(0xD6E8FEB86659FD93)
 _INV = np.uint64(pow(0xD6E8FEB86659FD93, -1, 1 << 64))
 
@@ -78,7 +77,7 @@ def paragraphs(s: np.ndarray, e: np.ndarray, line: np.ndarray, row: np.ndarray)
 
 
 def cutter():
-    """mapInArrow function: row, doc_id, text, key -> paragraphs, and windows with their first word only."""
+    """mapInArrow function: doc_id, key, text -> paragraphs, and windows with their first word only."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rnd = np.random.default_rng(17)
@@ -86,16 +85,11 @@ def cutter():
         b = rnd.integers(1, 2**63, BAND * BANDS, dtype=np.uint64)
         for batch in batches:
             raw, off, valid = C.buffers(batch.column(2))
-            ids = batch.column(1)
+            ids = batch.column(0)
             for i, j in C.steps(off):
                 w = C.Words(raw, off, valid & np.asarray(ids.is_valid()), i, j, C.SPACE)
                 if not len(w.start):
                     continue
-                chars = np.concatenate([[0], np.cumsum((w.data & 0xC0) != 0x80)])
-                base = chars[(off[i : j] - w.lo)][w.row]
-                c0, c1 = chars[w.start] - base, chars[w.end] - base
-                # Where the word before ends and the next one starts, for pieces that are cut at a border.
-                before, after = np.append(0, c1[:-1]), np.append(c0[1:], 0)
                 # Lines.
                 line = np.cumsum(w.data == 10)[w.start]
                 new = np.concatenate([[True], (line[1:] != line[:-1]) | (w.row[1:] != w.row[:-1])])
@@ -120,17 +114,13 @@ def cutter():
                     distinct = np.array([len(np.unique(g[x : y - SHINGLE + 1])) for x, y in zip(s, e)])
                     bands = pa.ListArray.from_arrays(pa.array(np.arange(0, h.size + 1, BANDS, dtype=np.int32)), pa.array(h.reshape(-1).view(np.int64)))
                     at = pa.array(i + w.row[s])
-                    yield pa.RecordBatch.from_arrays(
-                        [batch.column(0).take(at), batch.column(3).take(at), ids.take(at), pa.array(np.ones(len(s), bool)), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(c0[s]), pa.array(c1[e - 1]), pa.array(before[s]), pa.array(after[e - 1]), pa.array(distinct), bands],
-                        PIECE,
-                    )
+                    yield pa.RecordBatch.from_arrays([ids.take(at), batch.column(1).take(at), pa.array(np.ones(len(s), bool)), pa.array(whole(s, e).view(np.int64)), pa.array(s - w.bounds[w.row[s]]), pa.array(e - w.bounds[w.row[s]]), pa.array(distinct), bands], PIECE)
                 p = anchors(w)
                 p = p[p + WINDOW <= len(w.row)]
                 p = p[w.row[p] == w.row[p + WINDOW - 1]]
                 if len(p):
-                    at = pa.array(i + w.row[p])
-                    none = [pa.nulls(len(p), pa.int64())] * 6
-                    yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(3).take(at), ids.take(at), pa.array(np.zeros(len(p), bool)), pa.array(whole(p, p + WINDOW).view(np.int64)), pa.array(p - w.bounds[w.row[p]]), *none, pa.nulls(len(p), pa.list_(pa.int64()))], PIECE)
+                    at, none = pa.array(i + w.row[p]), pa.nulls(len(p), pa.int64())
+                    yield pa.RecordBatch.from_arrays([ids.take(at), batch.column(1).take(at), pa.array(np.zeros(len(p), bool)), pa.array(whole(p, p + WINDOW).view(np.int64)), pa.array(p - w.bounds[w.row[p]]), none, none, pa.nulls(len(p), pa.list_(pa.int64()))], PIECE)
 
     return run
 
@@ -150,93 +140,71 @@ def setter():
     return run
 
 
-def _passages(t: dict[str, np.ndarray]) -> list[tuple]:
-    """The passages of one row from its pieces: each word has the verdict of the last piece painted over it."""
-    order = np.lexsort((-t["first_doc"], t["gone"]))
-    low = int(t["w0"].min())
-    over = np.full(int(t["w1"].max()) - low, -1, np.int64)
-    kind, kinds = {}, []
-    start, end = {}, {}
-    for k in order.tolist():
-        w0, w1 = int(t["w0"][k]), int(t["w1"][k])
-        what = (int(t["first_doc"][k]), bool(t["gone"][k]))
-        if what not in kind:
-            kind[what] = len(kinds)
-            kinds.append(what)
-        over[w0 - low : w1 - low] = kind[what]
-        # Characters at which word w0 and w1 start, and at which the words before them end.
-        start[w0], end[w1] = t["c0"][k], t["c1"][k]
-        start.setdefault(w1, t["after"][k]), end.setdefault(w0, t["before"][k])
-    edge = np.flatnonzero(np.diff(over)) + 1
-    out = []
-    for a, b in zip([0, *edge.tolist()], [*edge.tolist(), len(over)]):
-        if over[a] >= 0:
-            out.append((int(t["doc_id"][0]), int(start[a + low]), int(end[b + low]), b - a, *kinds[over[a]]))
-    return out
+def _passages(w0: np.ndarray, w1: np.ndarray, first_doc: np.ndarray, gone: np.ndarray) -> list[tuple]:
+    """(first word, end word, first document, removed) of a text's passages: each word has the verdict of the last piece painted
+    over it."""
+    low = int(w0.min())
+    over = np.full(int(w1.max()) - low, -1, np.int64)
+    for k in np.lexsort((-first_doc, gone)).tolist():
+        over[w0[k] - low : w1[k] - low] = k
+    # Pieces of one verdict and first document are one kind.
+    _, kind = np.unique(np.column_stack([first_doc, gone.astype(np.int64)]), axis=0, return_inverse=True)
+    shown = np.where(over < 0, -1, kind.reshape(-1)[over])
+    edge = np.flatnonzero(np.diff(shown)) + 1
+    return [(a + low, b + low, int(first_doc[over[a]]), bool(gone[over[a]])) for a, b in zip([0, *edge.tolist()], [*edge.tolist(), len(over)]) if shown[a] >= 0]
 
 
 def painter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pieces sorted by row -> passages. A row's pieces may be spread over batches."""
+    """mapInArrow function: doc_id, text, pieces (w0, w1, first_doc, gone) -> passages, in code points of the text."""
     names = ["doc_id", "start", "end", "n_words", "first_doc", "removed"]
     types = [pa.int64()] * 5 + [pa.bool_()]
-
-    def shown(t: dict[str, np.ndarray]) -> pa.RecordBatch:
-        edge = [0, *(np.flatnonzero(np.diff(t["row"])) + 1).tolist(), len(t["row"])]
-        rows = [x for a, b in zip(edge, edge[1:]) for x in _passages({k: v[a:b] for k, v in t.items()})]
-        return pa.RecordBatch.from_arrays([pa.array([x[i] for x in rows], types[i]) for i in range(6)], names)
-
-    held: list[dict] = []
     for batch in batches:
-        if not batch.num_rows:
-            continue
-        t = {k: batch.column(i).to_numpy(zero_copy_only=False) for i, k in enumerate(batch.schema.names)}
-        at = int(np.searchsorted(t["row"], t["row"][-1]))
-        if at or (held and held[-1]["row"][-1] != t["row"][0]):
-            held.append({k: v[:at] for k, v in t.items()})
-            yield shown({k: np.concatenate([h[k] for h in held]) for k in t})
-            held = []
-        held.append({k: v[at:] for k, v in t.items()})
-    if held:
-        yield shown({k: np.concatenate([h[k] for h in held]) for k in held[0]})
+        raw, off, valid = C.buffers(batch.column(1))
+        ids, lists = batch.column(0).to_pylist(), batch.column(2)
+        for i, j in C.steps(off):
+            w = C.Words(raw, off, valid, i, j, C.SPACE, hashes=False)
+            chars = np.concatenate([[0], np.cumsum((w.data & 0xC0) != 0x80)])
+            rows = []
+            for r in range(i, j):
+                of = lists[r].values
+                lo, base = int(w.bounds[r - i]), int(chars[off[r] - w.lo])
+                for a, b, first, gone in _passages(*(of.field(c).to_numpy(zero_copy_only=False) for c in ("w0", "w1", "first_doc", "gone"))):
+                    rows.append((ids[r], int(chars[w.start[lo + a]]) - base, int(chars[w.end[lo + b - 1]]) - base, b - a, first, gone))
+            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in rows], types[k]) for k in range(6)], names)
 
 
 def looker(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """mapInArrow: doc_id, key, text, spans (w0, w1) -> each span with the hashes of up to NEAR words before it (nearest first)
-    and after it, and the characters at which a piece from there on starts and ends, and its neighbours end and start."""
-    names = ["doc_id", "key", "w0", "w1", "lh", "rh", "c0", "before", "c1", "after"]
-    kinds = [pa.int64()] * 4 + [pa.list_(pa.int64())] * 6
+    """mapInArrow function: doc_id, key, text, spans (w0, w1) -> each span with the hashes of up to NEAR words before it (nearest
+    first) and after it."""
+    names, kinds = ["doc_id", "key", "w0", "w1", "lh", "rh"], [pa.int64()] * 4 + [pa.list_(pa.int64())] * 2
     for batch in batches:
         raw, off, valid = C.buffers(batch.column(2))
         ids, keys = batch.column(0).to_pylist(), batch.column(1).to_pylist()
         for i, j in C.steps(off):
             w = C.Words(raw, off, valid, i, j, C.SPACE)
-            chars = np.concatenate([[0], np.cumsum((w.data & 0xC0) != 0x80)])
             rows = []
             for r in range(i, j):
-                lo, hi, base = int(w.bounds[r - i]), int(w.bounds[r - i + 1]), chars[off[r] - w.lo]
-                h = w.hash[lo:hi].view(np.int64)
-                c0, c1 = chars[w.start[lo:hi]] - base, chars[w.end[lo:hi]] - base
+                h = w.hash[int(w.bounds[r - i]) : int(w.bounds[r - i + 1])].view(np.int64)
                 for span in batch.column(3)[r].as_py():
                     a, b = span["w0"], span["w1"]
-                    far = max(a - NEAR, 0)
-                    rows.append((ids[r], keys[r], a, b, h[far:a][::-1], h[b : b + NEAR], c0[far : a + 1][::-1], c1[max(far - 1, 0) : a][::-1], c1[b - 1 : b + NEAR], c0[b : b + NEAR + 1]))
-            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in rows], kinds[k]) for k in range(10)], names)
+                    rows.append((ids[r], keys[r], a, b, h[max(a - NEAR, 0) : a][::-1], h[b : b + NEAR]))
+            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in rows], kinds[k]) for k in range(6)], names)
 
 
 def _extended(docs: DataFrame, hit: DataFrame) -> DataFrame:
-    """hit(row, key, doc_id, w0, first, gone), windows that repeat -> the windows to remove as spans, each extended against its first
+    """hit(doc_id, key, w0, first, gone), windows that repeat -> the windows to remove as spans, each extended against its first
     occurrence, and those first occurrences as far; a first occurrence of whatever is removed stays."""
-    first = [F.col(f"first.{c}").alias(f"f_{c}") for c in ("doc_id", "row", "key")]
-    gone = hit.filter("gone").select("row", "key", "doc_id", "w0", (F.col("w0") + WINDOW).alias("w1"), *first, (F.col("w0") - F.col("first.w0")).alias("shift"))
-    same = ["row", "key", "doc_id", "f_row", "f_key", "f_doc_id", "shift"]
+    first = [F.col(f"first.{c}").alias(f"f_{c}") for c in ("doc_id", "key")]
+    gone = hit.filter("gone").select("key", "doc_id", "w0", (F.col("w0") + WINDOW).alias("w1"), *first, (F.col("w0") - F.col("first.w0")).alias("shift"))
+    same = ["key", "doc_id", "f_key", "f_doc_id", "shift"]
     by = Window.partitionBy(*same).orderBy("w0")
     fresh = F.when(F.col("w0") <= F.max("w1").over(by.rowsBetween(Window.unboundedPreceding, -1)), 0).otherwise(1)
     spans = gone.withColumn("fresh", fresh).withColumn("span", F.sum("fresh").over(by)).groupBy(*same, "span").agg(F.min("w0").alias("w0"), F.max("w1").alias("w1"))
-    spans = C.settle(spans.drop("span").withColumn("f_w0", F.col("w0") - F.col("shift")).withColumn("f_w1", F.col("w1") - F.col("shift")), "passage-spans")
+    spans = C.settle(spans.drop("span").withColumn("f_w0", F.col("w0") - F.col("shift")).withColumn("f_w1", F.col("w1") - F.col("shift")).drop("shift"), "passage-spans")
     at = ["doc_id", "key", "w0", "w1"]
     asked = spans.select(*at).union(spans.select(*(f"f_{c}" for c in at))).distinct().groupBy("doc_id", "key").agg(F.collect_list(F.struct("w0", "w1")).alias("spans"))
-    schema = "doc_id long, key long, w0 long, w1 long, " + ", ".join(f"{c} array<long>" for c in ("lh", "rh", "c0", "before", "c1", "after"))
-    around = C.settle(docs.join(asked, ["doc_id", "key"]).select("doc_id", "key", "text", "spans").mapInArrow(looker, schema), "passage-around").dropDuplicates(at)
+    schema = "doc_id long, key long, w0 long, w1 long, lh array<long>, rh array<long>"
+    around = C.settle(docs.join(asked, ["doc_id", "key"]).select("doc_id", "key", "text", "spans").mapInArrow(looker, schema).dropDuplicates(at), "passage-around")
     both = spans.join(around, at).join(around.select(*(F.col(c).alias(f"f_{c}") for c in around.columns)), [f"f_{c}" for c in at])
 
     def equal(side: str):
@@ -245,24 +213,20 @@ def _extended(docs: DataFrame, hit: DataFrame) -> DataFrame:
         other = F.array_position(agree, False)
         return F.when(other > 0, other - 1).otherwise(F.size(side)).cast("int")
 
-    both = both.withColumn("x", equal("lh")).withColumn("y", equal("rh"))
-    pick = lambda p: [(F.col(f"{p}w0") - F.col("x")).alias("w0"), (F.col(f"{p}w1") + F.col("y")).alias("w1"), *(F.coalesce(F.get(f"{p}{c}", F.col(n)), F.lit(0)).alias(c) for c, n in (("c0", "x"), ("c1", "y"), ("before", "x"), ("after", "y")))]
-    both = C.settle(both.select("row", "doc_id", "f_doc_id", "f_key", F.struct(*pick("")).alias("own"), F.struct(*pick("f_")).alias("kept")), "passage-extended")
-    own = both.select("row", "doc_id", "own.*", F.col("f_doc_id").alias("first_doc"), F.lit(True).alias("gone"))
-    kept = both.select(F.col("f_doc_id").alias("doc_id"), F.col("f_key").alias("key"), "kept.*").distinct()
-    # Repeated rows of the first document have the same passages.
-    kept = kept.join(hit.select("row", "doc_id", "key").distinct(), ["doc_id", "key"])
-    return own.unionByName(kept.select("row", "doc_id", *PLACE, F.col("doc_id").alias("first_doc"), F.lit(False).alias("gone")))
+    both = C.settle(both.select(*at, *(f"f_{c}" for c in at), equal("lh").alias("x"), equal("rh").alias("y")), "passage-extended")
+    own = both.select("doc_id", "key", (F.col("w0") - F.col("x")).alias("w0"), (F.col("w1") + F.col("y")).alias("w1"), F.col("f_doc_id").alias("first_doc"), F.lit(True).alias("gone"))
+    kept = both.select(F.col("f_doc_id").alias("doc_id"), F.col("f_key").alias("key"), (F.col("f_w0") - F.col("x")).alias("w0"), (F.col("f_w1") + F.col("y")).alias("w1"), F.col("f_doc_id").alias("first_doc"), F.lit(False).alias("gone"))
+    return own.union(kept)
 
 
 def _repeats(rows: DataFrame, key: str, name: str) -> DataFrame:
-    """rows(key, row, doc_id, w0, ...) of keys in two documents or more, with the key's first place, and whether it is another.
+    """rows(key column, doc_id, key, w0, ...) of what stands in two documents or more, with its first place, and whether it is another.
 
     Which keys repeat is found from ids alone; only rows of such keys are looked at again. The table of first places is written
     before it is joined, so that the adaptive planner may split a key that holds most rows."""
     often = rows.groupBy(key).agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).filter("low < high").select(key)
     hit = C.settle(rows.join(C.settle(often, f"{name}-often"), key), f"{name}-repeats")
-    first = C.settle(hit.groupBy(key).agg(F.min(F.struct("doc_id", "w0", "row")).alias("first")), f"{name}-first")
+    first = C.settle(hit.groupBy(key).agg(F.min(F.struct("doc_id", "w0", "key")).alias("first")), f"{name}-first")
     return hit.join(first, key).withColumn("gone", (F.col("doc_id") != F.col("first.doc_id")) | (F.col("w0") != F.col("first.w0")))
 
 
@@ -270,8 +234,9 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """docs(doc_id long, text) -> doc_id, start, end (code points), n_words, first_doc, removed: a row for each
     passage of a document that occurs in another document too, with one verdict and one first document."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("key", F.xxhash64("text"))
-    schema = "row long, key long, doc_id long, line boolean, print long, w0 long, w1 long, c0 long, c1 long, before long, after long, n long, bands array<long>"
-    pieces = C.settle(docs.filter("doc_id is not null").select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", "key").mapInArrow(cutter(), schema), "passage-pieces")
+    schema = "doc_id long, key long, line boolean, print long, w0 long, w1 long, n long, bands array<long>"
+    docs = docs.filter("doc_id is not null and text is not null")
+    pieces = C.settle(docs.select("doc_id", "key", "text").mapInArrow(cutter(), schema), "passage-pieces")
     lines = pieces.filter("line")
     place = F.min(F.struct("doc_id", "w0", "w1", "key"))
     classes = C.settle(lines.groupBy(F.col("print").alias("id")).agg(place.alias("at"), F.first("n").alias("n"), F.first("bands").alias("bands")), "passage-classes")
@@ -281,14 +246,12 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     sets = wanted.join(docs, ["doc_id", "key"]).select("id", "w0", "w1", "text").mapInArrow(setter(), C.SET_SCHEMA)
     sets = C.settle(sets, "passage-sets").dropDuplicates(["id"])
     comp = op3_minhash.linked(busy, sets, percent, name="passage").select(F.col("id").alias("print"), "comp")
-    clustered = lines.drop("bands", "n", "key", "line").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp", "print")
+    clustered = lines.drop("bands", "n", "line").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp", "print")
     hits = _repeats(C.settle(clustered, "passage-lines"), "cluster", "passage-lines")
-    whole = hits.select("row", "doc_id", *PLACE, F.col("first.doc_id").alias("first_doc"), "gone")
-    windows = _repeats(pieces.filter("not line").select("print", "row", "doc_id", "w0"), "print", "passage-windows")
+    whole = hits.select("doc_id", "key", "w0", "w1", F.col("first.doc_id").alias("first_doc"), "gone")
     # Only windows that repeat meet their texts again.
-    keys = C.settle(pieces.select("row", "key").distinct(), "passage-keys")
-    windows = windows.join(keys, "row").join(keys.select(F.col("row").alias("f_row"), F.col("key").alias("f_key")), F.col("first.row") == F.col("f_row"))
-    windows = windows.select("row", "key", "doc_id", "w0", F.struct("first.doc_id", "first.w0", "first.row", F.col("f_key").alias("key")).alias("first"), "gone")
-    pieces = whole.unionByName(_extended(docs, C.settle(windows, "passage-hits")))
+    windows = _repeats(pieces.filter("not line").select("print", "doc_id", "key", "w0"), "print", "passage-windows")
+    found = whole.union(_extended(docs, C.settle(windows.drop("print"), "passage-hits"))).distinct()
+    found = found.groupBy("doc_id", "key").agg(F.collect_list(F.struct("w0", "w1", "first_doc", "gone")).alias("pieces"))  # of one text
     schema = "doc_id long, start long, end long, n_words long, first_doc long, removed boolean"
-    return pieces.repartition("row").sortWithinPartitions("row").mapInArrow(painter, schema)
+    return docs.join(found, ["doc_id", "key"]).select("doc_id", "text", "pieces").mapInArrow(painter, schema)
