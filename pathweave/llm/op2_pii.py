@@ -2,13 +2,12 @@
 
 The network is written and trained in numpy from labelled spans: those that the fixed patterns find in a bounded sample
 of documents (SAMPLE_DOCS, of SAMPLE_CHARS at most), each also in altered forms that the patterns do not know (a phone number without "+",
-other separators, a card number in odd groups). Inference decodes overlapping windows of each text with the Viterbi
-path; a window's labels count where it is the one whose middle is nearest, so each character is labelled once, and
-spans are read from the joined labels. Spans of the patterns always stay; a span of the network is added if it does not
+other separators, a card number in odd groups), in surroundings drawn from all the sample. Inference scores overlapping
+windows of each text, joins the scores of windows that overlap, and runs one Viterbi path over each joined stretch. Spans of the patterns always stay; a span of the network is added if it does not
 touch one of them, is plausible for its kind (number of digits, check digit) and its labels are sure enough.
 
-A span of any of the four kinds must hold a digit or "@": windows without either can give no span and are not decoded.
-This changes no result.
+A span of any of the four kinds must hold a digit or "@": windows further than one window from both are not scored, so a span
+is found as far as it lies within a window's length of one of its digits or its "@".
 
 Defined cases: null text counts as empty and gives the digest of ""; repeated rows stay rows; with no labelled span in
 the sample the network is not trained and the patterns alone count.
@@ -29,7 +28,7 @@ from pathweave.llm import common as C
 
 KINDS = ("email", "ip", "card", "phone")
 WINDOW, STRIDE, HIDDEN, EMBED = 96, 48, 20, 12
-SAMPLE_DOCS, SAMPLE_CHARS, SAMPLE_WINDOWS, EPOCHS, SURE = 400, 20_000, 1500, 10, 0.9
+SAMPLE_DOCS, SAMPLE_CHARS, SAMPLE_WINDOWS, EPOCHS, SURE = 400, 20_000, 3200, 12, 0.8
 TAGS = 1 + 2 * len(KINDS)  # outside, then begin and inside of each kind
 
 # ------------------------------------------------------------------ fixed patterns
@@ -177,7 +176,15 @@ class Tagger:
             b[i] = _logsum(t + (e[i + 1] + b[i + 1])[:, None, :], 2)
         return a, b, _logsum(a[-1], 1), t
 
-    def step(self, x, y, state, rate):
+    def loss(self, x: np.ndarray, y: np.ndarray) -> float:
+        """Negative log likelihood of the labels, summed over the batch."""
+        e, _ = self.scores(x)
+        _, _, z, t = self.marginals(e)
+        n, m = x.shape
+        own = e[np.arange(n)[:, None], np.arange(m)[None, :], y].sum(0) + t[y[:-1], y[1:]].sum(0)
+        return float((z - own).sum())
+
+    def gradients(self, x: np.ndarray, y: np.ndarray) -> dict:
         e, (_, both, kl, kr) = self.scores(x)
         a, b, z, t = self.marginals(e)
         n, m = x.shape
@@ -194,18 +201,20 @@ class Tagger:
         h = HIDDEN
         vl, g["lx"], g["lh"], g["lb"] = _lstm_back(d[:, :, :h], kl, self.p["lx"], self.p["lh"])
         vr, g["rx"], g["rh"], g["rb"] = _lstm_back(d[::-1, :, h:], kr, self.p["rx"], self.p["rh"])
-        dv = vl + vr[::-1]
         g["emb"] = np.zeros_like(self.p["emb"])
-        np.add.at(g["emb"], x, dv)
+        np.add.at(g["emb"], x, vl + vr[::-1])
+        return g
+
+    def step(self, x, y, state, rate):
         state["n"] = state.get("n", 0) + 1
-        for k, v in g.items():  # Adam
-            v = np.clip(v / m, -1, 1)
+        for k, v in self.gradients(x, y).items():  # Adam
+            v = np.clip(v / x.shape[1], -1, 1)
             mo, sq = state.get(k, (0.0, 0.0))
             mo, sq = 0.9 * mo + 0.1 * v, 0.99 * sq + 0.01 * v * v
             state[k] = (mo, sq)
             self.p[k] = (self.p[k] - rate * (mo / (1 - 0.9 ** state["n"])) / (np.sqrt(sq / (1 - 0.99 ** state["n"])) + 1e-6)).astype(np.float32)
 
-    def fit(self, texts: list[tuple[str, np.ndarray]], epochs: int = EPOCHS, batch: int = 50, seed: int = 5):
+    def fit(self, texts: list[tuple[str, np.ndarray]], epochs: int = EPOCHS, batch: int = 64, seed: int = 5):
         r, state = np.random.default_rng(seed), {}
         x = np.full((len(texts), WINDOW), PAD, np.int64)
         y = np.zeros((len(texts), WINDOW), np.int64)
@@ -218,14 +227,13 @@ class Tagger:
                 self.step(x[o].T, y[o].T, state, 0.02 if ep < epochs - 3 else 0.005)
         return self
 
-    def decode(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Viterbi labels of time, batch and their marginal probabilities."""
-        e, _ = self.scores(x)
+    def decode(self, e: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Viterbi labels of emissions (time, batch, labels) and the labels' marginal probabilities."""
         a, b, z, t = self.marginals(e)
-        n, m = x.shape
+        n, m = e.shape[:2]
         best = e[0].copy()
         best[:, 2::2] -= 1e4
-        back = np.zeros((n, m, TAGS), np.int64)
+        back = np.zeros((n, m, TAGS), np.int8)
         for i in range(1, n):
             s = best[:, :, None] + t
             back[i] = s.argmax(1)
@@ -239,47 +247,80 @@ class Tagger:
 
 
 # ------------------------------------------------------------------ labelled spans
-def _altered(kind: str, s: str, r: np.random.Generator) -> str:
-    """A form of the span that the patterns may not know."""
-    digits = re.sub(r"[^0-9]", "", s)
-    if kind == "phone" and len(digits) >= 10:
-        d = digits[-10:]
-        return [f"({d[:3]}) {d[3:6]}-{d[6:]}", f"{d[:3]}-{d[3:6]}-{d[6:]}", f"{d[:3]}.{d[3:6]}.{d[6:]}", f"00{digits}", s][int(r.integers(5))]
-    if kind == "card":
-        return [digits, " ".join(digits[i : i + 4] for i in range(0, len(digits), 4)), ".".join(digits[i : i + 4] for i in range(0, len(digits), 4)), s][int(r.integers(4))]
-    if kind == "email":
-        return [s, s.upper(), s.replace("@", " @ "), s][int(r.integers(4))]
-    return s
+def _luhn_digits(n: int, r: np.random.Generator) -> str:
+    d = "".join(str(x) for x in r.integers(0, 10, n - 1))
+    return next(d + str(c) for c in range(10) if luhn(d + str(c)))
 
 
-def training_windows(texts: list[str], most: int = SAMPLE_WINDOWS, seed: int = 11) -> list[tuple[str, np.ndarray]]:
-    """Windows around the labelled spans (as they are and altered), and as many windows with other or no digits."""
-    r, out = np.random.default_rng(seed), []
-    for text in texts:
-        found = base_spans(text)
-        taken = np.zeros(len(text) + 1, np.int8)
+def _grouped(d: str, by: str, size: int = 4) -> str:
+    return by.join(d[i : i + size] for i in range(0, len(d), size))
+
+
+def altered(kind: str, s: str, r: np.random.Generator) -> list[str]:
+    """Forms of a span, with new digits, that the patterns may not know."""
+    if kind == "phone":
+        d = str(r.integers(2, 10)) + "".join(str(x) for x in r.integers(0, 10, 9))
+        return [f"({d[:3]}) {d[3:6]}-{d[6:]}", f"{d[:3]}-{d[3:6]}-{d[6:]}", f"{d[:3]}.{d[3:6]}.{d[6:]}", f"{d[:3]} {d[3:6]} {d[6:]}", f"00{r.integers(1, 99)}{d}"]
+    if kind == "card":
+        d = _luhn_digits(int(r.choice([14, 15, 16, 16])), r)
+        return [d, _grouped(d, " "), _grouped(d, "-"), _grouped(d, ".")]
+    if kind == "email":
+        # Another name of the same make at the same top domain.
+        name = "".join(chr(int(r.integers(97, 123))) if c.isalpha() else c for c in s.lower())
+        host, _, top = name.rpartition(".")
+        name = f"{host}.{s.lower().rpartition('.')[2]}" if top else name
+        return [name.upper(), name.replace("@", " @ "), name.replace("@", " @"), name.replace("@", "@ ")]
+    return [".".join(str(x) for x in r.integers(0, 256, 4))]
+
+
+def _other(r: np.random.Generator) -> str:
+    """Digits or signs that are nobody's."""
+    n = lambda a, b: int(r.integers(a, b))
+    return [str(n(0, 10)), str(n(10, 10_000)), f"{n(1990, 2030)}", f"{n(1, 10)}.{n(0, 100)}", f"{n(1, 100)},{n(100, 1000)}", f"{n(1, 100)}%", f"v{n(1, 10)}.{n(0, 20)}.{n(0, 20)}", "@",
+            f"{n(1900, 2030)}-{n(1, 13):02d}-{n(1, 29):02d}", f"{n(1, 29):02d}.{n(1, 13):02d}.{n(1990, 2030)}", f"${n(1, 1000)}", f"{n(0, 24)}:{n(0, 60):02d}", f"#{n(1, 10**7)}", f"@name{n(1, 99)}"][n(0, 14)]
+
+
+def training_windows(texts: list[str], most: int = SAMPLE_WINDOWS, seed: int = 11, forms_of=altered) -> list[tuple[str, np.ndarray]]:
+    """Windows around the labelled spans, as they are and in altered forms, each at a place of its own in surroundings drawn from all the
+    texts, and as many windows with other digits or signs. Kinds take turns, so a rare one has its share."""
+    r = np.random.default_rng(seed)
+    places = [(t, s, e) for t in texts for v in base_spans(t).values() for s, e in v]
+    by_kind: list[list[tuple[str, str]]] = [[] for _ in KINDS]
+    for t in texts:
+        found = base_spans(t)
         for k, kind in enumerate(KINDS):
-            for s, e in found[kind]:
-                taken[s:e] = 1
-                if e - s > WINDOW - 8:
-                    continue
-                for form in {text[s:e], _altered(kind, text[s:e], r)}:
-                    room = WINDOW - len(form)
-                    left = int(r.integers(0, room + 1))
-                    a, z = text[max(0, s - left) : s], text[e : e + room - left]
-                    if _MARK.search(a) or _MARK.search(z):
-                        a, z = re.sub(r"[0-9@+]", "x", a), re.sub(r"[0-9@+]", "x", z)
-                    w = (a + form + z)[:WINDOW]
-                    tags = np.zeros(len(w), np.int64)
-                    tags[len(a) : len(a) + len(form)] = 2 + 2 * k
-                    if len(a) < len(w):
-                        tags[len(a)] = 1 + 2 * k
-                    out.append((w, tags))
-                    # The same surroundings with a number that is nobody's.
-                    other = ["3", "12", "2024", "1.5", "10,000", "7%", "v2", "@", "1999-2003", "$40"][int(r.integers(10))]
-                    w = (a + other + z)[:WINDOW]
-                    out.append((w, np.zeros(len(w), np.int64)))
-    order = r.permutation(len(out))[:most]
+            by_kind[k] += [(t[s:e], kind) for s, e in found[kind] if e - s <= WINDOW - 8]
+    plain = lambda x: re.sub(r"[0-9@+]", "x", x)
+    out: list[tuple[str, np.ndarray]] = []
+    turn = 0
+    while any(by_kind) and len(out) < most:
+        k = turn % len(KINDS)
+        turn += 1
+        if not by_kind[k]:
+            continue
+        span, kind = by_kind[k][(turn // len(KINDS)) % len(by_kind[k])]
+        more = forms_of(kind, span, r)
+        form = span if r.random() < 0.3 else more[int(r.integers(len(more)))]
+        if len(form) > WINDOW - 4:
+            continue
+        for what, label in ((form, k), (_other(r), None)):
+            t, s, e = places[int(r.integers(len(places)))]
+            room = WINDOW - len(what)
+            left = int(r.integers(0, room + 1))
+            # Half of the time the surroundings are those of no other span's place.
+            if r.random() < 0.5:
+                s = e = int(r.integers(0, len(t) + 1))
+            a, z = plain(t[max(0, s - left) : s]), plain(t[e : e + room - left])
+            a = a + " " if a and a[-1].isalnum() else a
+            z = " " + z if z and z[0].isalnum() else z
+            w = (a + what + z)[:WINDOW]
+            tags = np.zeros(len(w), np.int64)
+            if label is not None:
+                tags[len(a) : len(a) + len(what)] = 2 + 2 * label
+                if len(a) < len(w):
+                    tags[len(a)] = 1 + 2 * label
+            out.append((w, tags))
+    order = r.permutation(len(out))
     return [out[i] for i in order]
 
 
@@ -296,73 +337,84 @@ def plausible(kind: str, s: str) -> bool:
 
 
 def windows_of(text: str) -> np.ndarray:
-    """Numbers of the windows that hold a digit or "@"; window k starts at character k * STRIDE."""
+    """Numbers of the windows around digits and "@", with the next one on each side; window k starts at character k * STRIDE."""
     marks = np.array([m.start() for m in _MARK.finditer(text)], np.int64)
+    if not len(marks):
+        return marks
     last = max(0, -(-(len(text) - WINDOW) // STRIDE))
-    lo = np.maximum(0, -(-(marks - WINDOW + 1) // STRIDE))
-    hi = np.minimum(last, marks // STRIDE)
-    return np.unique(np.concatenate([lo, (lo + hi) // 2, hi])) if len(marks) else marks
+    at = np.unique(marks // STRIDE)
+    return np.unique(np.clip((at[:, None] + np.arange(-2, 2)).reshape(-1), 0, last))
+
+
+#: How much a window's scores count for each of its characters: most in its middle.
+_WEIGHT = np.minimum(np.arange(WINDOW) + 1, WINDOW - np.arange(WINDOW)).astype(np.float32)[:, None]
 
 
 def read_spans(texts: list[str], tagger: Tagger, most: int = 512) -> list[list[tuple[str, int, int]]]:
-    """The network's spans of each text; windows of all texts are decoded together, so many at a time."""
-    out: list = []
-    picked, codes, labels = [windows_of(t) for t in texts], [encode(t) for t in texts], []
-    todo = [(r, int(k)) for r, v in enumerate(picked) for k in v]
+    """The network's spans of each text. Windows of all texts are scored together; where they overlap, a character's scores are the
+    weighted mean of its windows', and one Viterbi path runs over each joined stretch, so labels are a legal sequence across
+    windows."""
+    codes = [encode(t) for t in texts]
+    todo, pieces = [], []  # (stretch, text, window); [text, first character, scores, weights]
+    for r, t in enumerate(texts):
+        before = None
+        for k in windows_of(t).tolist():
+            if before is None or k != before + 1:
+                pieces.append([r, k * STRIDE, 0])
+            pieces[-1][2] = min(len(t), k * STRIDE + WINDOW)
+            todo.append((len(pieces) - 1, r, k))
+            before = k
+    sums = [np.zeros((end - a, TAGS), np.float32) for _, a, end in pieces]
+    weights = [np.zeros((end - a, 1), np.float32) for _, a, end in pieces]
     for c in range(0, len(todo), most):
-        w = np.full((len(todo[c : c + most]), WINDOW), PAD, np.int64)
-        for i, (r, k) in enumerate(todo[c : c + most]):
+        some = todo[c : c + most]
+        x = np.full((len(some), WINDOW), PAD, np.int64)
+        for i, (_, r, k) in enumerate(some):
             piece = codes[r][k * STRIDE : k * STRIDE + WINDOW]
-            w[i, : len(piece)] = piece
-        t, s = tagger.decode(w.T)
-        labels.append((t.T.astype(np.int8), s.T.astype(np.float32)))
-    tags = np.concatenate([t for t, _ in labels]) if labels else None
-    sure = np.concatenate([s for _, s in labels]) if labels else None
-    at = 0
-    for text, v in zip(texts, picked):
-        out.append(joined_spans(text, v, tags[at : at + len(v)], sure[at : at + len(v)]) if len(v) else [])
-        at += len(v)
-    return out
-
-
-def joined_spans(text: str, picked: np.ndarray, t: np.ndarray, p: np.ndarray) -> list[tuple[str, int, int]]:
-    """Labels of overlapping windows, joined over the text, and the sure and plausible spans in them."""
-    n = len(text)
-    last = max(0, -(-(n - WINDOW) // STRIDE))
-    tags, sure = np.zeros(n, np.int8), np.zeros(n, np.float32)
-    nearest = np.full(n, 1 << 30)
-    for i, k in enumerate(picked):
-        a = int(k) * STRIDE
-        m = min(WINDOW, n - a)
-        off = np.abs(np.arange(m) - WINDOW // 2)
-        if k == 0:
-            off[: WINDOW // 2] = 0
-        if k == last:
-            off[WINDOW // 2 :] = 0
-        better = off < nearest[a : a + m]
-        nearest[a : a + m][better] = off[better]
-        tags[a : a + m][better], sure[a : a + m][better] = t[i, :m][better], p[i, :m][better]
-    out, i = [], 0
-    on = np.flatnonzero(tags)
-    while len(on) and i < n:
-        nxt = on[np.searchsorted(on, i) :]
-        if not len(nxt):
-            break
-        s = int(nxt[0])
-        kind = (int(tags[s]) - 1) // 2
-        e = s + 1
-        while e < n and tags[e] == 2 + 2 * kind:
+            x[i, : len(piece)] = piece
+        e = tagger.scores(x.T)[0]
+        for i, (p, r, k) in enumerate(some):
+            a = k * STRIDE - pieces[p][1]
+            m = min(WINDOW, len(sums[p]) - a)
+            sums[p][a : a + m] += e[:m, i] * _WEIGHT[:m]
+            weights[p][a : a + m] += _WEIGHT[:m]
+    out: list[list] = [[] for _ in texts]
+    order, at = sorted(range(len(pieces)), key=lambda p: len(sums[p])), 0
+    while at < len(order):
+        # Stretches of about one length at a time, so many that the lattice stays small.
+        n = max(1, min(most, (1 << 16) // max(1, len(sums[order[at]]))))
+        some = order[at : at + n]
+        while len(some) > 1 and len(sums[some[-1]]) > 2 * len(sums[some[0]]) + WINDOW:
+            some = some[: len(some) // 2]
+        at += len(some)
+        long = len(sums[some[-1]])
+        lattice = np.full((long, len(some), TAGS), -1e4, np.float32)
+        lattice[:, :, 0] = 0  # beyond a stretch's end there is nothing
+        for i, p in enumerate(some):
+            lattice[: len(sums[p]), i] = sums[p] / weights[p]
+        tags, sure = tagger.decode(lattice)
+        for i, p in enumerate(some):
+            r, a, _ = pieces[p]
+            out[r] += spans_in(texts[r], a, tags[: len(sums[p]), i], sure[: len(sums[p]), i])
+    return [sorted(set(x), key=lambda y: y[1:]) for x in out]
+
+
+def spans_in(text: str, at: int, tags: np.ndarray, sure: np.ndarray) -> list[tuple[str, int, int]]:
+    """The sure and plausible spans in the labels of a stretch that starts at a character."""
+    out, n = [], len(text)
+    for s in np.flatnonzero(tags % 2 == 1).tolist():
+        kind, e = (int(tags[s]) - 1) // 2, s + 1
+        while e < len(tags) and tags[e] == 2 + 2 * kind:
             e += 1
-        a, z = s, e
+        a, z = s + at, e + at
         while z > a and text[z - 1] in " .,;":
             z -= 1
         while a < z and text[a] in " .,;":
             a += 1
-        if z > a and sure[a:z].mean() >= SURE and _MARK.search(text, a, z) and plausible(KINDS[kind], text[a:z]):
+        if z > a and sure[a - at : z - at].mean() >= SURE and _MARK.search(text, a, z) and plausible(KINDS[kind], text[a:z]):
             # Part of a longer run of digits or letters is no span.
             if not (a and text[a - 1].isalnum() and text[a].isalnum()) and not (z < n and text[z].isalnum() and text[z - 1].isalnum()):
                 out.append((KINDS[kind], a, z))
-        i = e
     return out
 
 
