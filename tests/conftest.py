@@ -1,6 +1,11 @@
+import os
 import sys
 from pathlib import Path
 
+# Small matrices: more threads only wait for each other. Before numpy is loaded.
+for name in ("OMP_NUM_THREADS", "OPENBLAS_NUM_THREADS"):
+    os.environ.setdefault(name, "1")
+
 import pytest
 from pyspark.sql import SparkSession
 
