@@ -109,3 +109,18 @@ dist AS MATERIALIZED (SELECT s, node, q, min(d) AS d FROM reach GROUP BY ALL),
 p(s, node, q, len, eids) AS (SELECT id, id, {a.initial}, 0, (SELECT list(eid) FROM edges WHERE false) FROM starts
  UNION ALL SELECT p.s, a.nxt, d.q2, p.len + 1, list_append(coalesce(p.eids, []), a.eid) FROM p {_JOIN} JOIN dist t ON t.s = p.s AND t.node = a.nxt AND t.q = d.q2 AND t.d = p.len + 1),
 {_PATHS.format(finals=", ".join(map(str, sorted(a.finals))), at_end=at_end, selected=_selected(m)).replace("array_to_string(eids, '>')", "coalesce(array_to_string(eids, '>'), '')")}"""
+
+
+def words(graph: str, mode: str, rx: str, max_length: int, start=None, k: int | None = None) -> str:
+    """Path sets without any automaton: paths of the restrictor up to a length, their labels' first letters as a word, and the word
+    tested by DuckDB's own regular expressions."""
+    m = parse_mode(mode, k)
+    where = "" if start is None else f"WHERE id = {_value(start)}"
+    valid = _VALID[m.restrictor].replace("a.nxt", "a.dst")
+    tail = _PATHS.split("\nr AS")[1].format(finals="", at_end="", selected=_selected(m)).replace("array_to_string(eids, '>')", "coalesce(array_to_string(eids, '>'), '')")
+    return f"""WITH RECURSIVE {graph_sql(graph)},
+p(s, node, len, eids, nodes, w) AS (SELECT id, id, 0, (SELECT list(eid) FROM edges WHERE false), [id], '' FROM (SELECT DISTINCT id FROM nodes {where})
+ UNION ALL SELECT p.s, a.dst, p.len + 1, list_append(coalesce(p.eids, []), a.eid), list_append(p.nodes, a.dst), p.w || left(a.label, 1) FROM p JOIN edges a ON a.src = p.node
+ WHERE p.len < {max_length} AND {valid.replace("p.eids", "coalesce(p.eids, [])")}),
+f AS (SELECT s, node, len, eids FROM p WHERE regexp_full_match(w, '{rx}')),
+r AS{tail}"""

@@ -88,10 +88,28 @@ SPECS: dict[str, tuple] = {
     "rounds_shortest_k": ("hop", "SHORTEST 3 WALK", "signup{1,2}", 1, None, {"strategy": "rounds"}),
     "rounds_groups": ("hop", "SHORTEST 2 GROUPS WALK", "signup{1,3}", 1, None, {"strategy": "rounds"}),
     "rounds_trail": ("slice:1", "TRAIL", "error/view*", None, None, {"strategy": "rounds"}),
+    # The social series: lengths up to k, exactly k, from the node of median degree.
+    **{f"ep_hop_k{k}": ("hop:follows", None, f"follows{{1,{k}}}", "median", None, {}) for k in range(5, 13)},
+    **{f"ep_exact_k{k}": ("hop:follows", None, f"follows{{{k}}}", "median", None, {}) for k in (1, 2, 3, 4, 8, 12)},
+    **{f"any_shortest_social_k{k}": ("hop:follows", "ANY SHORTEST WALK", f"follows{{1,{k}}}", "median", None, {}) for k in range(1, 13)},
+    **{f"all_shortest_social_k{k}": ("hop:follows", "ALL SHORTEST WALK", f"follows{{1,{k}}}", "median", None, {}) for k in range(1, 13)},
+    **{f"trail_social_{o}_k{k}": ("hop:follows", "TRAIL", f"follows{{1,{k}}}", "median", None, {"order": o}) for k in (1, 2) for o in ("bfs", "dfs")},
+    "shortest_k_hop_1000": ("hop", "SHORTEST 1000 WALK", "purchase{1,3}", "median", None, {}),
+    **{f"shortest_k_trail_{k}": ("hop", f"SHORTEST {k} TRAIL", "purchase{1,3}", "median", None, {}) for k in (1, 100, 1000)},
+    **{f"groups_trail_{k}": ("hop", f"SHORTEST {k} GROUPS TRAIL", "purchase{1,3}", "median", None, {}) for k in (1, 2, 3)},
+    # Shapes of logged queries.
+    "p01_any_shortest": ("star", "ANY SHORTEST WALK", "placed/contains", "C:1", None, {}),
+    "p02_any_shortest": ("star", "ANY SHORTEST WALK", "^supplies*", "P:1", None, {}),
+    "p04_any_shortest": ("star", "ANY SHORTEST WALK", "livesin/^livesin/placed", "C:1", None, {}),
+    "p13_both_const": ("hop", "ANY SHORTEST WALK", "click*/view*/error*", 0, 3, {}),
+    "p16_all_shortest": ("trade", "ALL SHORTEST WALK", "(A|N|R)+", 1, None, {}),
+    "p18_free_ends": ("link", None, "links/^links/on", None, None, {}),
+    **{f"any_trail_diamond_bfs_{n}": (f"diamond:{n}", "ANY TRAIL", "a*", 0, 3 * n, {"order": "bfs"}) for n in (1, 4, 8)},
     "rounds_shortest_k_simple": ("slice:1", "SHORTEST 2 SIMPLE", "(error|view)+", None, None, {"strategy": "rounds"}),
 }
 _STAR = ("any_walk_hop", "any_shortest_hop", "all_shortest_hop", "all_shortest_click_purchase", "any_shortest_union", "all_shortest_trade", "all_shortest_end_const", "any_shortest_turns", "any_shortest_diamond", "all_shortest_diamond", "ambiguous_all_shortest", "csr_all_shortest", "rounds_any_shortest", "rounds_all_shortest")
-_DEPTH = {"any_shortest_diamond": 20, "all_shortest_diamond": 20}
+_STAR += (*(f"{m}_shortest_social_k{k}" for m in ("any", "all") for k in range(1, 13)), "p02_any_shortest", "p13_both_const", "p16_all_shortest")
+_DEPTH = {"any_shortest_diamond": 20, "all_shortest_diamond": 20, **{f"{m}_shortest_social_k{k}": k for m in ("any", "all") for k in range(1, 13)}}
 
 
 def _query(spec: tuple):
@@ -109,6 +127,9 @@ def _sql(key: str, spec: tuple) -> str:
     name, mode, pattern, start, end, _ = spec
     if mode is None:
         return oracles.endpoints(name, pattern, start, end)
+    if "_social_k" in key and key in _STAR:
+        # Up to k steps of one label: the shortest walks of a plus, as far as k; a bounded expression has all walks in its product.
+        return oracles.shortest(name, mode, "follows+", start, end, _DEPTH[key])
     if key in _STAR:
         return oracles.shortest(name, mode, pattern, start, end, _DEPTH.get(key, 8))
     return oracles.paths(name, mode, pattern, start, end)
@@ -118,6 +139,20 @@ QUERIES = {k: _query(v) for k, v in SPECS.items()}
 SQL = {k: _sql(k, v) for k, v in SPECS.items()}
 
 
+# ------------------------------------------------------------------ against words of labels, with no automaton in the SQL
+_WORDS = {
+    **{f"{m}_{r}": text.format(r=r.upper()) for m, text in MODES.items() for r in ("trail", "simple", "acyclic")},
+    "any_shortest_walk": "ANY SHORTEST WALK", "all_shortest_walk": "ALL SHORTEST WALK", "shortest_k_walk": "SHORTEST 3 WALK", "groups_walk": "SHORTEST 2 GROUPS WALK",
+}
+for _name, _mode in _WORDS.items():
+    # From one node over the whole graph, where pairs have many paths, so selectors differ.
+    _spec = ("hop", _mode, "(purchase|click){1,2}", "median", None, {})
+    QUERIES[f"words_{_name}"], SQL[f"words_{_name}"] = _query(_spec), oracles.words("hop", _mode, "(p|c){1,2}", 2, "median")
+    # By rounds of joins, from all nodes.
+    _spec = ("slice:1", _mode, "error/(view|click)?/purchase?", None, None, {"strategy": "rounds"})
+    QUERIES[f"rounds_words_{_name}"], SQL[f"rounds_words_{_name}"] = _query(_spec), oracles.words("slice:1", _mode, "e(v|c)?p?", 3)
+
+
 def _add(name: str, sql: str | None = None):
     def take(f):
         QUERIES[name] = f
