@@ -12,7 +12,7 @@ import pytest
 import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
-FAST = [k for k in entry.oracle_sql() if k.startswith(("ep_hop_k2", "any_shortest_hop", "all_shortest_hop", "all_trail_slice", "groups_acyclic", "shortest_k_hop_5", "g_", "path_cost", "bl_reach", "triples", "session", "asof"))]
+FAST = [k for k in entry.oracle_sql() if k.startswith(("ep_hop_k2", "any_shortest_hop", "all_shortest_hop", "all_trail_slice", "words_groups_simple", "words_shortest_k_walk", "groups_acyclic", "shortest_k_hop_5", "g_", "path_cost", "bl_reach", "triples", "session", "asof"))]
 
 
 @pytest.fixture(scope="module")
