@@ -33,7 +33,16 @@ def settle(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.settled_at = path
+    return out
+
+
+def drop(*tables: DataFrame) -> None:
+    """Delete tables that settle() wrote, once all that was made from them has been written too."""
+    for t in tables:
+        path = t.sparkSession._jvm.org.apache.hadoop.fs.Path(t.settled_at)
+        path.getFileSystem(t.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -200,10 +209,10 @@ def components(links: DataFrame, name: str) -> DataFrame:
     In each round an id takes the smallest label of its neighbours and its label's label (pointer jumping), and hands
     the former to the label it had too (hooking), so that whole trees meet at once and chains of any order shorten
     geometrically. Labels only fall, so rounds end by themselves, when none has changed. Labels are written to the
-    shared folder each round; the driver sees one count. Hot ids are pre-aggregated by min() or split by the adaptive
-    join."""
+    shared folder each round, and the round before goes; the driver sees one count. Hot ids are pre-aggregated by min() or
+    split by the adaptive join."""
     both = settle(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).filter("a <> b").distinct(), f"{name}-edges")
-    label = settle(both.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("m")).select("id", F.least("id", "m").alias("comp")), f"{name}-label")
+    written = label = settle(both.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("m")).select("id", F.least("id", "m").alias("comp")), f"{name}-label")
     while True:
         near = both.join(label.select(F.col("id").alias("b"), "comp"), "b").groupBy(F.col("a").alias("id")).agg(F.min("comp").alias("near"))
         seen = settle(label.join(near, "id"), f"{name}-near")
@@ -213,5 +222,18 @@ def components(links: DataFrame, name: str) -> DataFrame:
         # least() skips nulls: ids that are nobody's label have no hook.
         step = settle(step.select("id", F.least("comp", "near", "up", "hook").alias("next"), F.col("comp").alias("was")), f"{name}-label")
         label = step.select("id", F.col("next").alias("comp"))
+        drop(seen, written)
+        written = step
         if step.filter("next <> was").limit(1).count() == 0:
+            drop(both)
             return label
+
+
+def joined(comp: DataFrame, links: DataFrame, name: str) -> DataFrame:
+    """comp(id, comp), as components() gives it, after further links (a, b): rounds go over the components that these join, not
+    over the links that are known already."""
+    of = lambda c: comp.select(F.col("id").alias(c), F.col("comp").alias(f"{c}_comp"))
+    ends = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("a_comp", "a").alias("a"), F.coalesce("b_comp", "b").alias("b"))
+    top = components(ends, name)
+    known = comp.join(top.select(F.col("id").alias("comp"), F.col("comp").alias("top")), "comp", "left").select("id", F.coalesce("top", "comp").alias("comp"))
+    return settle(known.union(top.join(comp.select("id"), "id", "left_anti")), f"{name}-joined")

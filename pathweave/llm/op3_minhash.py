@@ -170,23 +170,25 @@ def linked(busy: DataFrame, sets: DataFrame, percent: int, small_bucket: int = S
     rest = C.settle(placed.join(mixed, "bucket"), f"{name}-rest")
     few = _across(rest.filter(F.col("members") <= small_bucket).join(bits, "id"), "bucket", percent)
     many = rest.filter(F.col("members") > small_bucket).select("id", "n", "comp").distinct()
-    rare = C.settle(_pruned(_rare_items(many, sets, percent), percent), f"{name}-rare")
-    rare = C.settle(_pruned(rare, percent).join(bits, "id"), f"{name}-rare")
+    once = C.settle(_pruned(_rare_items(many, sets, percent), percent), f"{name}-rare")
+    rare = C.settle(_pruned(once, percent).join(bits, "id"), f"{name}-rare")
+    C.drop(once)
     # Before rare items are paired in full, a few members of each, drawn anew each turn, are paired with the others: components
     # meet here with pairs in the number of members. Turns end when they find little more; what is left is paired in full.
     ids = rare.select("id").distinct().count()
     for turn in range(PIVOT_ROUNDS if ids else 0):
         met = C.settle(_confirmed(_pivots(rare, turn, percent), sets, percent), f"{name}-met")
-        links = C.settle(links.union(met), f"{name}-links")
+        comp = C.joined(comp, met, f"{name}-met")
         if met.count() * 50 < ids:
             break
-        comp = C.components(links, f"{name}-met")
+        was = rare
         rare = rare.drop("comp").join(comp, "id", "left").select("item", "id", "n", F.coalesce("comp", "id").alias("comp"), "after", *C.BITS)
         rare = C.settle(_pruned(rare, percent), f"{name}-rare")
+        C.drop(was)
     cross = few.union(_across(rare.join(_mixed(rare, "item"), "item"), "item", percent)).distinct().join(stars, ["a", "b"], "left_anti")
-    more = _confirmed(cross, sets, percent)
-    links = C.settle(links.union(more), f"{name}-all-links")
-    return C.components(links, f"{name}-two")
+    more = C.settle(_confirmed(cross, sets, percent), f"{name}-more")
+    C.drop(rest, rare, stars, links)
+    return C.joined(comp, more, f"{name}-two")
 
 
 def shared_buckets(rows: DataFrame, name: str) -> DataFrame:
@@ -206,7 +208,9 @@ def tables(classes: DataFrame, family: int, name: str = "near") -> DataFrame:
     own = lambda start: F.filter(F.slice("parts", start, family), lambda x: F.array_contains("live", x))
     keys = F.flatten(F.transform(own(1), lambda x: F.transform(own(family + 1), lambda y: F.xxhash64(x, y))))
     rows = C.settle(classes.join(live, "id").select("id", "n", F.explode(keys).alias("bucket")), f"{name}-keys")
-    return shared_buckets(rows, name)
+    busy = shared_buckets(rows, name)
+    C.drop(rows)
+    return busy
 
 
 def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS, group: int = GROUP, family: int = FAMILY, small_bucket: int = SMALL_BUCKET) -> DataFrame:
@@ -226,14 +230,14 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS,
     sets = C.settle(sets.dropDuplicates(["id"]), "near-sets")
 
     comp = linked(busy, sets, percent, small_bucket)
+    C.drop(busy, sets)
     # Ids with several texts: all their sets belong together.
     twice = signed.filter("doc_id is not null").groupBy("doc_id").agg(F.min(F.xxhash64(*key)).alias("low"), F.max(F.xxhash64(*key)).alias("high")).filter("low <> high").select("doc_id")
     twice = C.settle(signed.drop("parts").join(twice, "doc_id").join(classes.select(*key, "id"), key).select("doc_id", "id").distinct(), "near-twice")
     some = twice.limit(1).count() > 0
     if some:
         hubs = twice.groupBy("doc_id").agg(F.min("id").alias("hub"))
-        edges = comp.select(F.col("id").alias("a"), F.col("comp").alias("b")).union(twice.join(hubs, "doc_id").select(F.col("id").alias("a"), F.col("hub").alias("b")))
-        comp = C.components(edges, "near-three")
+        comp = C.joined(comp, twice.join(hubs, "doc_id").select(F.col("id").alias("a"), F.col("hub").alias("b")), "near-three")
 
     # A component is named by its smallest doc_id.
     of_class = classes.join(comp, "id", "left").select(*key, "id", "first_doc", F.coalesce("comp", "id").alias("comp"))

@@ -244,8 +244,9 @@ def repeated_passages(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     busy = op3_minhash.shared_buckets(rows, "passage")
     wanted = classes.join(busy.select("id").distinct(), "id", "left_semi").select("id", F.col("at.doc_id").alias("doc_id"), F.col("at.key").alias("key"), F.col("at.w0").alias("w0"), F.col("at.w1").alias("w1"))
     sets = wanted.join(docs, ["doc_id", "key"]).select("id", "w0", "w1", "text").mapInArrow(setter(), C.SET_SCHEMA)
-    sets = C.settle(sets, "passage-sets").dropDuplicates(["id"])
-    comp = op3_minhash.linked(busy, sets, percent, name="passage").select(F.col("id").alias("print"), "comp")
+    sets = C.settle(sets, "passage-sets")
+    comp = op3_minhash.linked(busy, sets.dropDuplicates(["id"]), percent, name="passage").select(F.col("id").alias("print"), "comp")
+    C.drop(busy, sets, classes)
     clustered = lines.drop("bands", "n", "line").join(comp, "print", "left").withColumn("cluster", F.coalesce("comp", "print")).drop("comp", "print")
     hits = _repeats(C.settle(clustered, "passage-lines"), "cluster", "passage-lines")
     whole = hits.select("doc_id", "key", "w0", "w1", F.col("first.doc_id").alias("first_doc"), "gone")
