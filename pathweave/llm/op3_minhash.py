@@ -256,9 +256,11 @@ def near_duplicates(docs: DataFrame, percent: int = 85, k_words: int = K_WORDS,
 def survivors(docs: DataFrame, percent: int = 85) -> DataFrame:
     """The rows of docs, whole, that stay: one document of each group. Of rows that share a doc_id one stays; rows
     without an id all stay."""
-    columns = docs.columns
-    docs = C.settle(docs.withColumn("survivor_row", F.monotonically_increasing_id()), "near-rows")
+    columns, row = docs.columns, "survivor_row"
+    while row in map(str.lower, columns):
+        row += "_"
+    docs = C.settle(docs.withColumn(row, F.monotonically_increasing_id()), "near-rows")
     kept = near_duplicates(docs, percent).filter("kept and doc_id is not null").select("doc_id").distinct()
-    chosen = docs.select("doc_id", "survivor_row").join(kept, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("survivor_row").alias("survivor_row"))
-    with_id = docs.join(chosen, "survivor_row", "left_semi").select(*columns)
+    chosen = docs.select("doc_id", row).join(kept, "doc_id", "left_semi").groupBy("doc_id").agg(F.min(row).alias(row))
+    with_id = docs.join(chosen, row, "left_semi").select(*columns)
     return with_id.unionByName(docs.filter("doc_id is null").select(*columns))
