@@ -1,7 +1,14 @@
 """A corpus pipeline of five of the training-data operators, each over all that the one before kept.
 
 STAGES lists (name, function); a function takes (spark, docs, sf_dir) and returns a DataFrame, which is written as Parquet
-and read again as the next one's docs. All but the last return the columns of documents.
+and read again as the next one's docs. All but the last return the columns of documents, any further columns with them,
+whatever their names.
+
+Defined cases: null texts, empty ones and those without a letter have no language, so they go in the first stage; the later
+stages, given such rows, keep them. A row without a doc_id is its own document and stays. Of rows that share a doc_id one
+stays after near_duplicates; of equally near copies the one with the smallest doc_id. Null lang, source or n_chars change
+nothing (rows with null lang aren't learnt from). Texts are worked on whole, however long. An empty table stays empty in
+each stage; an empty benchmark contaminates nothing.
 """
 
 from __future__ import annotations
@@ -24,7 +31,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates."""
+    """One document of each group of near duplicates: five-word shingles, a similarity of 0.8 or more."""
     return op3_minhash.survivors(docs, percent=80)
 
 
@@ -51,7 +58,7 @@ STAGES = [
     ("packing", packing),
 ]
 
-#: Trained models, components and packing are no SQL; the stages are tested against brute force.
+#: Trained models, components and packing are no SQL; the stages are tested against brute force (tests/llm/test_pipeline.py).
 ORACLE_SQL = None
 
 
