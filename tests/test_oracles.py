@@ -43,3 +43,12 @@ def test_whole_graph_query_equals_its_sql(spark, con, name):
 
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
+
+
+def test_trail_of_a_diamond_of_orders(spark, con):
+    """The diamond is one of the given table's: its nodes are orders and lines."""
+    test_query_equals_its_sql(spark, con, "any_trail_diamond_bfs_1")
+    (row,) = entry.queries()["any_trail_diamond_bfs_1"](spark, SF).collect()
+    order, line = row["path"].split(">")[0].split("|")[1:]
+    k, n = line.removeprefix("L:").split(":")
+    assert order == f"O:{k}" and con.execute(f"select count(*) from lineitem where l_orderkey = {k} and l_linenumber = {n}").fetchone()[0]
