@@ -52,3 +52,11 @@ def test_trail_of_a_diamond_of_orders(spark, con):
     order, line = row["path"].split(">")[0].split("|")[1:]
     k, n = line.removeprefix("L:").split(":")
     assert order == f"O:{k}" and con.execute(f"select count(*) from lineitem where l_orderkey = {k} and l_linenumber = {n}").fetchone()[0]
+
+
+def test_diamond_view_reads_its_table(spark):
+    """All its orders are of lineitem, 25 diamonds in a chain."""
+    rows = entry.queries()["g_diamond_edges"](spark, SF).collect()
+    keys = {int(x[2:]) for r in rows for x in (r["src"], r["dst"]) if x.startswith("O:")}
+    there = {r[0] for r in spark.read.parquet(f"{SF}/lineitem.parquet").select("l_orderkey").distinct().collect()}
+    assert len(rows) == 100 and len(keys) == 26 and keys <= there
